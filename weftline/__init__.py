@@ -1,0 +1 @@
+"""Weftline: batches of similar machine-learning pipelines as one Spark plan."""

@@ -1,0 +1 @@
+"""Scalar and column functions shared by operators."""
