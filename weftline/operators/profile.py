@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from functools import reduce
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -110,8 +111,6 @@ def detect_errors(df: DataFrame, rules: dict[str, str], keys: list[str]) -> Data
 
 def semantic_filter(df: DataFrame, column: str, decide, out: str = "decision") -> DataFrame:
     """A decision by an injected function, once for each distinct text."""
-    import pandas as pd
-
     def run(texts: pd.Series) -> pd.Series:
         return pd.Series([bool(decide(t)) for t in texts])
 
