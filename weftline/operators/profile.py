@@ -50,7 +50,7 @@ def profile_vocabulary(df: DataFrame, column: str) -> DataFrame:
 
 def numeric_statistics(c: str) -> dict[str, Column]:
     x = F.col(c).cast("double")
-    return {"min": F.min(x), "max": F.max(x), "mean": F.round(F.avg(x), 4), "std": F.round(F.stddev_pop(x), 4), "median": F.percentile(x, 0.5)}
+    return {"min": F.min(x) + 0.0, "max": F.max(x), "mean": F.round(F.avg(x), 4), "std": F.round(F.stddev_pop(x), 4), "median": F.percentile(x, 0.5)}
 
 
 def profile_numeric(df: DataFrame, columns: list[str] | None = None) -> DataFrame:

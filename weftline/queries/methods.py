@@ -574,7 +574,7 @@ def _(t):
     return profile.profile_vocabulary(t.documents, "text")
 
 
-@query("i4_numeric_profile", " UNION ALL ".join(f"SELECT '{c}' AS column_name, '{s}' AS statistic, CAST({e.format(c=c)} AS DOUBLE) AS value FROM lineitem" for c in _NUMS for s, e in {"min": "min({c})", "max": "max({c})", "mean": "round(avg({c}), 4)", "std": "round(stddev_pop({c}), 4)", "median": "quantile_cont({c}, 0.5)"}.items()))
+@query("i4_numeric_profile", " UNION ALL ".join(f"SELECT '{c}' AS column_name, '{s}' AS statistic, CAST({e.format(c=c)} AS DOUBLE) AS value FROM lineitem" for c in _NUMS for s, e in {"min": "min({c}) + 0", "max": "max({c})", "mean": "round(avg({c}), 4)", "std": "round(stddev_pop({c}), 4)", "median": "quantile_cont({c}, 0.5)"}.items()))
 def _(t):
     return profile.profile_numeric(t.lineitem, list(_NUMS))
 

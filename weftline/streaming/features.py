@@ -43,7 +43,7 @@ def windows(stream: DataFrame, size: str, slide: str | None = None, lateness: st
     return stream.withWatermark("ts", lateness).groupBy(w.alias("w"), "event_type").agg(F.count("*").alias("n"))
 
 
-def sessions(stream: DataFrame, gap: str, lateness: str = "1 hour") -> DataFrame:
+def sessions(stream: DataFrame, gap: str, lateness: str = "3650 days") -> DataFrame:
     return stream.withWatermark("ts", lateness).groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n"))
 
 
