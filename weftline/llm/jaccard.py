@@ -24,6 +24,7 @@ representative, and hot blocks are cut.
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from itertools import islice
 
 import numpy as np
@@ -98,7 +99,7 @@ def sample_frequent(docs: DataFrame, k: int) -> np.ndarray:
     return np.sort(rows["h"].to_numpy(np.int64).view(np.uint64))
 
 
-SKETCH = "id bigint, n_shingles bigint, sig_a bigint, sig_b bigint, keys array<bigint>"
+SKETCH = "id bigint, n_shingles bigint, sig_a bigint, sig_b bigint, counts binary, keys array<bigint>"
 
 
 def sketch(docs: DataFrame, k: int, percent: int, frequent: np.ndarray) -> DataFrame:
@@ -117,8 +118,8 @@ def sketch(docs: DataFrame, k: int, percent: int, frequent: np.ndarray) -> DataF
             signed = np.array([(s >> 64, s & (1 << 64) - 1) for s in sigs], np.uint64).reshape(-1, 2).view(np.int64)
             yield pa.RecordBatch.from_arrays(
                 [ids, pa.array([len(s) for s in sets], pa.int64()), pa.array(signed[:, 0]), pa.array(signed[:, 1]),
-                 pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))],
-                ["id", "n_shingles", "sig_a", "sig_b", "keys"],
+                 pa.array([count_vector(s).tobytes() for s in sets], pa.binary()), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))],
+                ["id", "n_shingles", "sig_a", "sig_b", "counts", "keys"],
             )
 
     return docs.select("id", "raw").mapInArrow(run, SKETCH)
@@ -187,15 +188,14 @@ def linked(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
     return 100 * overlap >= percent * (len(both) - overlap)
 
 
-def forest(ids: list[int], cuts: list[int], sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
-    """Links that span the components of a block's sets.
+def forest(ids: list[int], cuts: list[int], vectors: np.ndarray, sizes: np.ndarray, percent: int, sets: list[np.ndarray] | None = None) -> list[tuple[int, int]]:
+    """Pairs that span the components of sets: of links, or without ``sets`` of what the bound lets pass.
 
     With two cuts only pairs across them are looked at.
     """
-    vectors = np.stack([count_vector(s) for s in sets])
-    sizes = np.array([len(s) for s in sets])
     of = np.array(cuts)
-    sides = [(np.arange(len(ids)), None)] if len(set(cuts)) == 1 else [(np.flatnonzero(of == of.min()), np.flatnonzero(of != of.min()))]
+    everything = np.arange(len(ids))
+    indexed, asking = (everything, None) if len(set(cuts)) == 1 else (np.flatnonzero(of == of.min()), np.flatnonzero(of != of.min()))
     up = list(range(len(ids)))
 
     def root(x: int) -> int:
@@ -205,52 +205,68 @@ def forest(ids: list[int], cuts: list[int], sets: list[np.ndarray], percent: int
         return x
 
     out = []
-    for indexed, asking in sides:
-        tree = CountTree(vectors[indexed], sizes[indexed])
-        for q in indexed if asking is None else asking:
-            for hit in indexed[tree.candidates(vectors[q], sizes[q], percent)].tolist():
-                if asking is None and hit >= q:
-                    continue
-                x, y = root(hit), root(int(q))
-                if x != y and linked(sets[hit], sets[q], percent):
-                    up[max(x, y)] = min(x, y)
-                    out.append((ids[hit], ids[int(q)]))
+    tree = CountTree(vectors[indexed], sizes[indexed])
+    for q in (indexed if asking is None else asking).tolist():
+        for hit in indexed[tree.candidates(vectors[q], sizes[q], percent)].tolist():
+            if asking is None and hit >= q:
+                continue
+            x, y = root(hit), root(q)
+            if x != y and (sets is None or linked(sets[hit], sets[q], percent)):
+                up[max(x, y)] = min(x, y)
+                out.append((ids[hit], ids[q]))
     return out
 
 
-def block_links(rows: DataFrame, k: int, percent: int) -> DataFrame:
-    """Links inside blocks.  ``rows``: block, cut_a, cut_b, id, cut, raw; a task streams whole groups."""
+def group_pairs(rows: DataFrame, flush: Callable[[list], list[tuple[int, int]]], columns: list[str]) -> DataFrame:
+    """``flush`` over every group of (block, cut_a, cut_b); a task streams its groups one by one."""
 
-    def flush(held: list) -> pa.RecordBatch:
-        ids = [r[0] for r in held]
-        found = forest(ids, [r[1] for r in held], [shingles(r[2], k) for r in held], percent)
+    def told(held: list) -> pa.RecordBatch:
+        found = flush(held)
         return pa.RecordBatch.from_arrays([pa.array([f[c] for f in found], pa.int64()) for c in (0, 1)], ["a", "b"])
 
     def run(batches):
         key, held = None, []
         for batch in batches:
-            for block, cut_a, cut_b, doc, cut, raw in zip(*[c.to_pylist() for c in batch.columns]):
+            for block, cut_a, cut_b, *row in zip(*[c.to_pylist() for c in batch.columns]):
                 if (block, cut_a, cut_b) != key:
                     if len(held) > 1:
-                        yield flush(held)
+                        yield told(held)
                     key, held = (block, cut_a, cut_b), []
-                held.append((doc, cut, raw))
+                held.append(row)
         if len(held) > 1:
-            yield flush(held)
+            yield told(held)
 
     own = ["block", "cut_a", "cut_b"]
     dealt = rows.repartition(*own).sortWithinPartitions(*own, "cut", "id")
-    return dealt.select(*own, "id", "cut", "raw").mapInArrow(run, "a bigint, b bigint")
+    return dealt.select(*own, "id", "cut", *columns).mapInArrow(run, "a bigint, b bigint")
 
 
-def cut_blocks(members: DataFrame, texts: DataFrame) -> DataFrame:
-    """Rows of blocks with the pairs of cuts that they meet in; members: id, block, n_cuts."""
-    cut = members.withColumn("cut", F.pmod(F.xxhash64("id"), F.col("n_cuts")).cast("int"))
-    others = F.explode(F.sequence(F.lit(0), F.col("n_cuts") - 1))
-    return (
-        cut.join(texts, "id").select("id", "block", "cut", "raw", others.alias("other"))
-        .select("block", F.least("cut", "other").alias("cut_a"), F.greatest("cut", "other").alias("cut_b"), "id", "cut", "raw")
-    )
+def block_links(rows: DataFrame, k: int, percent: int) -> DataFrame:
+    """Spanning links inside blocks, verified on the shingles."""
+
+    def flush(held: list) -> list[tuple[int, int]]:
+        sets = [shingles(r[2], k) for r in held]
+        vectors, sizes = np.stack([count_vector(s) for s in sets]), np.array(list(map(len, sets)))
+        return forest([r[0] for r in held], [r[1] for r in held], vectors, sizes, percent, sets)
+
+    return group_pairs(rows, flush, ["raw"])
+
+
+def bounded_pairs(rows: DataFrame, percent: int) -> DataFrame:
+    """Spanning pairs, among sets with a prefix shingle in common, of what the bound lets pass."""
+
+    def flush(held: list) -> list[tuple[int, int]]:
+        vectors = np.stack([np.frombuffer(r[2], np.int32) for r in held])
+        return forest([r[0] for r in held], [r[1] for r in held], vectors, np.array([r[3] for r in held]), percent)
+
+    return group_pairs(rows, flush, ["counts", "n"])
+
+
+def paired_cuts(rows: DataFrame) -> DataFrame:
+    """Rows (with n_cuts) of a cut for each other cut that it meets, as cut_a and cut_b."""
+    cut = rows.withColumn("cut", F.pmod(F.xxhash64("id"), F.col("n_cuts")).cast("int"))
+    met = cut.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("n_cuts") - 1)))
+    return met.withColumns({"cut_a": F.least("cut", "other"), "cut_b": F.greatest("cut", "other")}).drop("other", "n_cuts")
 
 
 def jaccard_components(docs: DataFrame, k: int = 5, percent: int = 80, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -267,15 +283,18 @@ def jaccard_components(docs: DataFrame, k: int = 5, percent: int = 80, *, doc_id
     classes = linkable.groupBy("sig_a", "sig_b").agg(
         F.min("id").alias("rep"), F.first("n_shingles").alias("n"), F.first("keys").alias("keys")
     )
-    prefixes = classes.select(F.col("rep").alias("id"), F.explode("keys").alias("key"))
-    least = F.min("id").over(Window.partitionBy("key"))
-    meets = prefixes.withColumn("a", least).filter("id <> a").select("a", F.col("id").alias("b")).distinct()
-    blocks = components(stored(meets, "meets")).select("id", F.col("component").alias("block"))
+    prefixes = classes.select(F.col("rep").alias("id"), F.explode("keys").alias("block"))
+    alike = Window.partitionBy("block")
+    met = prefixes.withColumn("n_rows", F.count("*").over(alike)).filter("n_rows > 1")
+    cuts = F.ceil(F.col("n_rows") / CUT_SETS).cast("int")
+    counts = linkable.groupBy("id").agg(F.first("counts").alias("counts"), F.first("n_shingles").alias("n"))
+    grouped = paired_cuts(met.select("block", "id", cuts.alias("n_cuts"))).join(counts, "id")
+    blocks = components(stored(bounded_pairs(grouped, percent).distinct(), "meets")).select("id", F.col("component").alias("block"))
     sizes = blocks.join(linkable.select("id", "n_shingles"), "id").groupBy("block").agg(
         F.greatest(F.ceil(F.count("*") / CUT_SETS), F.ceil(F.sum("n_shingles") / CUT_SHINGLES)).cast("int").alias("n_cuts")
     )
     members = stored(blocks.join(sizes, "block"), "blocks")
-    links = stored(block_links(cut_blocks(members, source), k, percent), "links")
+    links = stored(block_links(paired_cuts(members).join(source, "id"), k, percent), "links")
     found = components(links)
     reps = linkable.groupBy("sig_a", "sig_b").agg(F.min("id").alias("rep"))
     classed = reps.join(found, reps["rep"] == found["id"], "left").select(
