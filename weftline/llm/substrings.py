@@ -8,13 +8,14 @@ window whose words also start in a document of smaller id.
    Anchors of one document alone end the matter for nearly all text.
 2. Confirmation.  Windows at recurring anchors are grouped by their own hashes;
    those of two or more documents are recurring, and the document of least id
-   that has one is its home.  Runs of such windows in a home are passages.
+   that has one is its home (of smaller id than all others that have it).  Runs of
+   such windows in a home are passages.
    Whole copies of a text are found by a digest first and have one home, too.
 3. Location.  Passages are dealt to shards of bounded size.  A shard compiles an
    Aho-Corasick automaton (pyahocorasick) over aligned blocks of half a window,
    one character standing for a distinct word, and streams the documents that
-   are confirmed to share windows with its homes; each hit is extended word by
-   word in both directions.  Any window inside a passage holds a whole block, so
+   are confirmed to share windows with its homes, against those homes; each hit
+   is extended word by word in both directions.  Any window inside a passage holds a whole block, so
    every occurrence is located, and by the words themselves, not by hashes.
    Shards with many documents are salted.
 
@@ -164,12 +165,12 @@ class Phrases:
     def __init__(self, passages: list[tuple[int, bytes]], size: int):
         self.size, self.block = size, size // 2
         self.codes: dict[bytes, str] = {}
-        self.passages = [(home, self._coded(raw.split())) for home, raw in passages]
-        self.backward = [text[::-1] for _, text in self.passages]
-        places: dict[str, list[tuple[int, int]]] = {}
-        for k, (_, text) in enumerate(self.passages):
+        self.passages = [self._coded(raw.split()) for _, raw in passages]
+        self.backward = [text[::-1] for text in self.passages]
+        places: dict[str, dict[int, list[tuple[int, int]]]] = {}
+        for k, ((home, _), text) in enumerate(zip(passages, self.passages)):
             for at in range(0, len(text) - self.block + 1, self.block):
-                places.setdefault(text[at : at + self.block], []).append((k, at))
+                places.setdefault(text[at : at + self.block], {}).setdefault(home, []).append((k, at))
         self.automaton = ahocorasick.Automaton()
         for phrase, found in places.items():
             self.automaton.add_word(phrase, found)
@@ -183,37 +184,48 @@ class Phrases:
                 codes[w] = chr(n if n < 0xD800 else n + 0x800)
         return "".join(map(codes.__getitem__, words))
 
-    def find(self, doc: int, raw: bytes) -> list[tuple[int, int]]:
-        """Ranges of words of the document that passages of smaller homes cover."""
+    def find(self, raw: bytes, homes: list[int]) -> list[tuple[int, int]]:
+        """Disjoint ranges of words of the text that passages of these homes cover."""
         get = self.codes.get
         text = "".join([get(w, "\0") for w in raw.split()])
         back, n = text[::-1], len(text)
         found: list[tuple[int, int]] = []
         done: dict[tuple[int, int], int] = {}
+        mine = set(homes)
         for end, places in self.automaton.iter(text):
             begin = end - self.block + 1
-            for k, at in places:
-                home, passage = self.passages[k]
-                if home >= doc or done.get((k, begin - at), -1) > begin:
+            few, many = (mine, places) if len(mine) < len(places) else (places, mine)
+            for home in few:
+                if home not in many:
                     continue
-                right = begin + ahead(text, begin, passage, at)
-                left = begin - ahead(back, n - begin, self.backward[k], len(passage) - at)
-                done[k, begin - at] = right
-                if right - left >= self.size:
-                    found.append((left, right))
-                    if right - left == n:
-                        return [(0, n)]
-        return found
+                for k, at in places[home]:
+                    if done.get((k, begin - at), -1) > begin:
+                        continue
+                    passage = self.passages[k]
+                    right = begin + ahead(text, begin, passage, at)
+                    left = begin - ahead(back, n - begin, self.backward[k], len(passage) - at)
+                    done[k, begin - at] = right
+                    if right - left >= self.size:
+                        found.append((left, right))
+                        if right - left == n:
+                            return [(0, n)]
+        merged: list[tuple[int, int]] = []
+        for left, right in sorted(found):
+            if merged and left <= merged[-1][1]:
+                merged[-1] = (merged[-1][0], max(merged[-1][1], right))
+            else:
+                merged.append((left, right))
+        return merged
 
 
 def located(rows: DataFrame, size: int) -> DataFrame:
-    """id, begin, end from rows (shard, salt, kind 0 passage or 1 document, id, raw)."""
+    """id, begin, end from rows (shard, salt, kind 0 passage or 1 document, id, homes, raw)."""
 
     def run(batches):
         key, passages, phrases = None, [], None
         for batch in batches:
             out = []
-            for shard, salt, kind, doc, raw in zip(*[c.to_pylist() for c in batch.columns]):
+            for shard, salt, kind, doc, homes, raw in zip(*[c.to_pylist() for c in batch.columns]):
                 if (shard, salt) != key:
                     key, passages, phrases = (shard, salt), [], None
                 if kind == 0:
@@ -221,7 +233,7 @@ def located(rows: DataFrame, size: int) -> DataFrame:
                 else:
                     if phrases is None:
                         phrases = Phrases(passages, size)
-                    out += [(doc, begin, end) for begin, end in phrases.find(doc, raw)]
+                    out += [(doc, begin, end) for begin, end in phrases.find(raw, homes)]
             yield pa.RecordBatch.from_arrays(
                 [pa.array([r[0] for r in out], pa.int64()), *[pa.array([r[k] for r in out], pa.int32()) for k in (1, 2)]],
                 ["id", "begin", "end"],
@@ -229,7 +241,7 @@ def located(rows: DataFrame, size: int) -> DataFrame:
 
     own = ["shard", "salt"]
     dealt = rows.repartition(*own).sortWithinPartitions(*own, "kind", "id")
-    return dealt.select(*own, "kind", "id", "raw").mapInArrow(run, "id bigint, begin int, end int")
+    return dealt.select(*own, "kind", "id", "homes", "raw").mapInArrow(run, "id bigint, begin int, end int")
 
 
 def passages_of(homes: DataFrame, size: int) -> DataFrame:
@@ -312,17 +324,18 @@ def find_repeats(source: DataFrame, size: int = WINDOW) -> tuple[DataFrame, Data
     volume = passages.agg(F.sum(F.octet_length("raw"))).first()[0] or 0
     n_shards = max(1, -(-volume // (6 * SHARD_WORDS)))
     shard = F.pmod(F.xxhash64("home"), F.lit(n_shards)).alias("shard")
-    routed = uses.select("id", shard).distinct().join(texts.select("id", "raw"), "id")
+    asked = stored(uses.groupBy("id", shard).agg(F.collect_set("home").alias("homes")), "asked")
+    routed = asked.join(texts.select("id", "raw"), "id")
     salts = stored(
-        uses.select("id", shard).distinct().join(texts.select("id", F.octet_length("raw").alias("bytes")), "id")
+        asked.select("id", "shard").join(texts.select("id", F.octet_length("raw").alias("bytes")), "id")
         .groupBy("shard").agg(F.greatest(F.lit(1), F.ceil(F.sum("bytes") / SALT_BYTES)).cast("int").alias("salts")),
         "salts",
     )
     asking = routed.join(salts, "shard").select(
-        "shard", F.pmod(F.xxhash64("id"), "salts").cast("int").alias("salt"), F.lit(1).alias("kind"), "id", "raw"
+        "shard", F.pmod(F.xxhash64("id"), "salts").cast("int").alias("salt"), F.lit(1).alias("kind"), "id", "homes", "raw"
     )
     known = passages.select(shard, F.col("home").alias("id"), "raw").join(salts, "shard").select(
-        "shard", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.lit(0).alias("kind"), "id", "raw"
+        "shard", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.lit(0).alias("kind"), "id", F.array().cast("array<bigint>").alias("homes"), "raw"
     )
     spans = located(known.unionByName(asking), size).groupBy("id").agg(F.collect_list(F.struct("begin", "end")).alias("spans"))
     return scanned, spans.join(texts.select("id", "raw"), "id")
