@@ -199,29 +199,35 @@ def _(t):
     )
 
 
-_PER = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+
+
+def _per():
+    """Made when asked for: a window needs a session."""
+    return Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+
+
 _OVER = "OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey"
 
 
 @query("win_rank", f"SELECT o_orderkey, row_number() {_OVER}) AS rn, ntile(3) {_OVER}) AS third, round(percent_rank() {_OVER}), 6) AS pr, round(cume_dist() {_OVER}), 6) AS cd FROM orders")
 def _(t):
-    return t.orders.select("o_orderkey", F.row_number().over(_PER).cast("bigint").alias("rn"), F.ntile(3).over(_PER).cast("bigint").alias("third"), F.round(F.percent_rank().over(_PER), 6).alias("pr"), F.round(F.cume_dist().over(_PER), 6).alias("cd"))
+    return t.orders.select("o_orderkey", F.row_number().over(_per()).cast("bigint").alias("rn"), F.ntile(3).over(_per()).cast("bigint").alias("third"), F.round(F.percent_rank().over(_per()), 6).alias("pr"), F.round(F.cume_dist().over(_per()), 6).alias("cd"))
 
 
 @query("win_lag", f"SELECT o_orderkey, lag(o_orderkey) {_OVER}) AS before, lead(o_orderkey) {_OVER}) AS after, first_value(o_orderkey) {_OVER}) AS first FROM orders")
 def _(t):
-    return t.orders.select("o_orderkey", F.lag("o_orderkey").over(_PER).alias("before"), F.lead("o_orderkey").over(_PER).alias("after"), F.first("o_orderkey").over(_PER).alias("first"))
+    return t.orders.select("o_orderkey", F.lag("o_orderkey").over(_per()).alias("before"), F.lead("o_orderkey").over(_per()).alias("after"), F.first("o_orderkey").over(_per()).alias("first"))
 
 
 @query("win_running", f"SELECT o_orderkey, CAST(sum(CAST(o_totalprice AS DECIMAL(18,2))) {_OVER} ROWS UNBOUNDED PRECEDING) AS DOUBLE) AS running FROM orders")
 def _(t):
-    w = _PER.rowsBetween(Window.unboundedPreceding, 0)
+    w = _per().rowsBetween(Window.unboundedPreceding, 0)
     return t.orders.select("o_orderkey", F.sum(F.col("o_totalprice").cast("decimal(18,2)")).over(w).cast("double").alias("running"))
 
 
 @query("win_moving", f"SELECT o_orderkey, max(o_totalprice) {_OVER} ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS moving FROM orders")
 def _(t):
-    return t.orders.select("o_orderkey", F.max("o_totalprice").over(_PER.rowsBetween(-2, 0)).alias("moving"))
+    return t.orders.select("o_orderkey", F.max("o_totalprice").over(_per().rowsBetween(-2, 0)).alias("moving"))
 
 
 @query("win_range", "SELECT p_partkey, CAST(count(*) OVER (PARTITION BY p_brand ORDER BY p_size RANGE BETWEEN 5 PRECEDING AND CURRENT ROW) AS BIGINT) AS near FROM part")
