@@ -129,6 +129,21 @@ class Recent:
                 found[k] = v
         return found, lacking
 
+    def whole(self, keys: set, make: Callable[[list], dict]) -> dict:
+        """A dict with all the distinct ``keys``; ``make`` gives entries for those the cache lacks.
+
+        Until the next call it may outgrow the bound by the keys of this one.
+        """
+        if len(self.new) > self.bound:
+            self.old, self.new = self.new, {}
+        lacking = keys.difference(self.new)
+        if lacking:
+            back = {k: self.old[k] for k in lacking if k in self.old}
+            self.new.update(back)
+            lacking.difference_update(back)
+            self.new.update(make(list(lacking)))
+        return self.new
+
     def keep(self, entries: dict) -> None:
         """Adds entries; those found long ago go first."""
         if len(self.new) + len(entries) > self.bound:

@@ -26,8 +26,10 @@ from __future__ import annotations
 
 import os
 import struct
+import sys
 import uuid
 import zlib
+from array import array
 from collections.abc import Iterator
 from functools import cache
 from itertools import chain
@@ -49,6 +51,10 @@ CHECK = struct.Struct("<I")
 AROUND = HEAD.size + CHECK.size
 NULL_ID, SHORT_IDS = 1, 2
 CACHED_WORDS = 250_000
+#: Characters handed to the tokenizer at once: few, so that its results are read while in the processor's cache.
+ENCODED_CHARS = 1 << 10
+#: Characters from which on a word isn't cached.
+LONG_WORD = 200
 BATCH_CHARS = 1 << 22
 
 
@@ -100,20 +106,30 @@ class WordEncoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.short = self.tokenizer.get_vocab_size() <= 1 << 16
         self.kind = "<u2" if self.short else "<u4"
+        self.code = next(c for c in "HIL" if array(c).itemsize == np.dtype(self.kind).itemsize)
         self.words = Recent(CACHED_WORDS)
+        self.long: list[str] = []
 
     def encode(self, texts: list[str]) -> list[bytes]:
         with few_collections():
             cut = [t.replace("\n", " ").split(" ") for t in texts]
-            coded, lacking = self.words.known(set(chain.from_iterable(cut)))
-            if lacking:
-                new = {}
-                for part in in_pieces(lacking, len, 1 << 18):
-                    for word, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False)):
-                        new[word] = np.array(e.ids, self.kind).tobytes()
-                coded |= new
-                self.words.keep({w: v for w, v in new.items() if len(w) < 200})
-            return [b"".join(map(coded.__getitem__, words)) for words in cut]
+            coded = self.words.whole(set(chain.from_iterable(cut)), self._made)
+            out = [b"".join(map(coded.__getitem__, words)) for words in cut]
+            for word in self.long:
+                del coded[word]
+            self.long.clear()
+            return out
+
+    def _made(self, words: list[str]) -> dict[str, bytes]:
+        new = {}
+        for part in in_pieces(words, len, ENCODED_CHARS):
+            for word, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False)):
+                ids = array(self.code, e.ids)
+                if sys.byteorder == "big":
+                    ids.byteswap()
+                new[word] = ids.tobytes()
+        self.long += [w for w in words if len(w) >= LONG_WORD]
+        return new
 
 
 @cache
