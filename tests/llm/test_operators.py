@@ -331,6 +331,15 @@ def test_components(spark):
     assert got == {**{i: 0 for i in range(41)}, 100: 100, 101: 100, 102: 100, 200: 200, 201: 200}
 
 
+def test_components_of_long_paths(spark):
+    shuffled = random.Random(3).sample(range(3000), 3000)
+    falling = [10_000, *range(12_000, 10_000, -1)]
+    links = [(10 + a, 10 + b) for a, b in zip(shuffled, shuffled[1:])] + list(zip(falling, falling[1:]))
+    rows = components.components(spark.createDataFrame(links, "a bigint, b bigint").repartition(4)).collect()
+    assert len(rows) == 5001
+    assert {r["id"]: r["component"] for r in rows} == {**{10 + i: 10 for i in range(3000)}, **{i: 10_000 for i in falling}}
+
+
 # 7 quality rules
 
 
