@@ -480,6 +480,16 @@ def test_warc(spark, monkeypatch):
     assert warc.archive(pages.limit(0)).count() == 0
 
 
+def test_warc_long_urls(spark):
+    long = {1: 66_000, 3: 69_000, 5: 1_000_000}
+    rows = [(i, "http://" + "u" * long.get(i, 10), f"<p>{i}</p>" + "WARC/1.1\r\nA: b\r\n" * 9) for i in range(40)]
+    pages = spark.createDataFrame(rows, "page_id bigint, url string, html string").coalesce(1)
+    made = warc.write_warc(pages, warc.scratch(spark, "warc")).collect()
+    for split in (1 << 23, 200_000, 20_000):
+        got = warc.read_warc(spark, [(m["path"], m["bytes"]) for m in made], split_bytes=split, payload=True).collect()
+        assert sorted((r["page_id"], r["url"], bytes(r["html"]).decode()) for r in got) == rows
+
+
 # the pipeline
 
 

@@ -34,7 +34,7 @@ from .records import opened, write_whole
 MAGIC = b"WARC/1.1\r\n"
 SPLIT_BYTES = 8 << 20
 READ_BYTES = 1 << 20
-MOST_HEADER = 1 << 16
+HEADER_BYTES = 1 << 12
 #: Groups of equal payloads up to which their table is broadcast, some 20 MB.
 BROADCAST_GROUPS = 200_000
 
@@ -117,6 +117,24 @@ def parse_header(data: bytes) -> tuple[dict[str, str], int] | None:
     return (fields, end + 4) if length.isdigit() else None
 
 
+#: Lines that a header may consist of, the last one perhaps not read whole yet.
+LINES = re.compile(rb"(?:[A-Za-z][A-Za-z0-9-]*: ?[^\r\n]*+\r\n)*+(?:[A-Za-z][^\r\n]*+)?\r?")
+
+
+def read_header(file, place: int) -> tuple[dict[str, str], int] | None:
+    """``parse_header`` at a place of a file, read in doubling steps to the blank line, however far.
+
+    Reading ends early at a line that isn't a field's, as after magic in a payload.
+    """
+    file.seek(place)
+    head = b""
+    while True:
+        more = file.read(max(HEADER_BYTES, len(head)))
+        head += more
+        if not more or b"\r\n\r\n" in head or not (head.startswith(MAGIC) and LINES.fullmatch(head, len(MAGIC))):
+            return parse_header(head)
+
+
 def candidates(path: str, begin: int, end: int) -> Iterator[tuple[int, int]]:
     """Places in [begin, end) where a record may begin, with their successors."""
     fs, at = opened(path)
@@ -128,11 +146,7 @@ def candidates(path: str, begin: int, end: int) -> Iterator[tuple[int, int]]:
             kept = file.read(min(READ_BYTES, end - place) + len(MAGIC) - 1)
             found = kept.find(MAGIC)
             while 0 <= found < end - place:
-                file.seek(place + found)
-                told = parse_header(file.read(4096))
-                if told is None:
-                    file.seek(place + found)
-                    told = parse_header(file.read(MOST_HEADER))
+                told = read_header(file, place + found)
                 if told is not None:
                     after = place + found + told[1] + int(told[0]["content-length"]) + 4
                     if after <= size:
@@ -197,9 +211,7 @@ def parsed(splits: DataFrame, payload: bool = False) -> DataFrame:
                 with fs.open_input_file(at) as file:
                     size = file.size()
                     while place < min(end, size):
-                        file.seek(place)
-                        head = file.read(4096)
-                        told = parse_header(head) or parse_header(head + file.read(MOST_HEADER))
+                        told = read_header(file, place)
                         if told is None:
                             raise ValueError(f"{path}: no record at byte {place}")
                         fields, length = told
