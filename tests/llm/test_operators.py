@@ -230,6 +230,12 @@ def test_bpe_on_odd_texts(reference):
         assert np.frombuffer(coder.encode([text])[0], "<u4").tolist() == reference.encode_ordinary(text)
 
 
+def test_bpe_takes_positions_of_any_length(reference, monkeypatch):
+    monkeypatch.setattr(bpe, "POSITION_BITS", 8)
+    ranks, text = bpe.Ranks(RANKS), "abcdetheing" * 90
+    assert np.frombuffer(bpe.encode_lone(text.encode(), ranks), "<u4").tolist() == reference.encode_ordinary(text)
+
+
 # 5 token counts
 
 

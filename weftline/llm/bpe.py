@@ -35,6 +35,7 @@ OTHER_SPACE = "\t\x0b\x0c\r\x85\xa0  -     　"
 SPACE = f"\n {OTHER_SPACE}"
 
 NONE = np.int64(1) << 62
+#: Bits of a position in a piece under LONE_LEAVES; a longer piece takes as many as its length needs.
 POSITION_BITS = 24
 #: Leaves from which a piece gets a tree of its own.
 LONE_LEAVES = 256
@@ -122,7 +123,8 @@ def encode_lone(piece: bytes, ranks: Ranks) -> bytes:
     """The same on one tree, for long pieces."""
     n = len(piece)
     width = 1 << max(1, (n - 1).bit_length())
-    pairs, none = ranks.pairs, int(NONE)
+    bits = n.bit_length()
+    pairs, none = ranks.pairs, 1 << 32 + bits
     ids = ranks.of_byte[np.frombuffer(piece, np.uint8)].tolist()
     after, before = [*range(1, n + 1)], [*range(-1, n - 1)]
     tree = [none] * (2 * width)
@@ -138,15 +140,15 @@ def encode_lone(piece: bytes, ranks: Ranks) -> bytes:
         if at < 0 or after[at] >= n:
             return none
         rank = pairs.get(ids[at] << 32 | ids[after[at]])
-        return none if rank is None else rank << POSITION_BITS | at
+        return none if rank is None else rank << bits | at
 
     tree[width : width + n] = map(pair, range(n))
     for node in range(width - 1, 0, -1):
         tree[node] = min(tree[2 * node], tree[2 * node + 1])
     while tree[1] < none:
-        at = tree[1] & ((1 << POSITION_BITS) - 1)
+        at = tree[1] & ((1 << bits) - 1)
         gone = after[at]
-        ids[at], ids[gone] = tree[1] >> POSITION_BITS, -1
+        ids[at], ids[gone] = tree[1] >> bits, -1
         after[at] = after[gone]
         if after[at] < n:
             before[after[at]] = at
