@@ -272,6 +272,13 @@ def test_piece_counts(docs, nothing):
     assert wordpiece.count_pieces(nothing, RANKS).count() == 0
 
 
+def test_every_word_is_spelt():
+    usual, whole = wordpiece.from_ranks(RANKS), wordpiece.from_ranks(RANKS, spell_all=True)
+    for word in ("漢字かな交じり文", "ภาษาไทย", "𐍈"):
+        assert usual.count(word.encode()) == 0 < whole.count(word.encode()) <= len(word.encode())
+    assert all(whole.count(w) == usual.count(w) for w in (b"the", b"tokenization", "é".encode()))
+
+
 # 6 Jaccard join
 
 

@@ -37,7 +37,7 @@ def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    return wordpiece.count_pieces(docs, public_tokenizers.path(BYTE_RANKS))
+    return wordpiece.count_pieces(docs, public_tokenizers.path(BYTE_RANKS), spell_all=True)
 
 
 def op6_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

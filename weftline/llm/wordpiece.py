@@ -80,29 +80,34 @@ class Pieces:
         return total
 
 
-def from_ranks(path: str) -> Pieces:
-    """Tokens with a leading blank start words, the others go on words."""
+def from_ranks(path: str, spell_all: bool = False) -> Pieces:
+    """Tokens with a leading blank start words, the others go on words.
+
+    With ``spell_all`` single bytes start words too, so that words whose beginning
+    has no token with a blank are spelt as well.
+    """
     with open(path, "rb") as f:
         tokens = [base64.b64decode(line.split()[0]) for line in f if line.strip()]
-    return Pieces([t[1:] for t in tokens if t[:1] == b" "], [t for t in tokens if t[:1] != b" "])
+    start = [t[1:] for t in tokens if t[:1] == b" "] + [t for t in tokens if spell_all and len(t) == 1]
+    return Pieces(start, [t for t in tokens if t[:1] != b" "])
 
 
 @cache
-def pieces(path: str) -> tuple[Pieces, Recent]:
+def pieces(path: str, spell_all: bool) -> tuple[Pieces, Recent]:
     """One a worker process."""
-    return from_ranks(path), Recent(CACHED_WORDS)
+    return from_ranks(path, spell_all), Recent(CACHED_WORDS)
 
 
 RESULTS = ("n_words", "n_pieces", "n_unknown")
 
 
-def count_pieces(docs: DataFrame, path: str, *, text: str = "text") -> DataFrame:
+def count_pieces(docs: DataFrame, path: str, *, text: str = "text", spell_all: bool = False) -> DataFrame:
     """``docs`` without the text, with n_words, n_pieces (unknown ones included) and n_unknown."""
     own = [f for f in docs.schema if f.name not in (*RESULTS, text)]
     schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in own] + [f"{c} bigint" for c in RESULTS])
 
     def run(batches):
-        automaton, cached = pieces(path)
+        automaton, cached = pieces(path, spell_all)
         for batch in batches:
             rows, done = [], 0
             with few_collections():
