@@ -20,6 +20,28 @@ def numbers(spark):
     return spark.createDataFrame(rows, "a double, b double, c double, y double, fold int").repartition(3), x, y
 
 
+def edit_distance(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        last, row[0] = row[0], i
+        for j, y in enumerate(b, 1):
+            last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (x != y))
+    return row[-1]
+
+
+@pytest.mark.parametrize("cut_values", [1000, 7])
+def test_match_everywhere_misses_nothing(spark, cut_values):
+    rng = np.random.default_rng(2)
+    values = {"small ring", "large ring", "", "🙂é", "é🙂"} | {"".join(rng.choice(list("abé "), rng.integers(1, 9))) for _ in range(60)}
+    df = spark.createDataFrame([(v,) for v in [*values, "small ring", None]], "name string")
+    for threshold in (0.4, 0.5, 0.8):
+        near = {(a, b): round(1 - edit_distance(a, b) / max(len(a), len(b)), 6) for a in values for b in values if a.encode() < b.encode()}
+        got = profile.match_everywhere(df, df, "name", threshold, cut_values).collect()
+        assert len(got) == len({(r[0], r[1]) for r in got})
+        assert {(r[0], r[1]): r[2] for r in got} == {p: s for p, s in near.items() if s >= threshold}
+    assert near["large ring", "small ring"] >= 0.5
+
+
 def test_moments_and_ridge(numbers):
     df, x, y = numbers
     m = models.moments(df, ["a", "b", "c"], "y", "fold")

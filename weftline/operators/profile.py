@@ -103,6 +103,50 @@ def match_entities(a: DataFrame, b: DataFrame, key: str, block: Column, threshol
     return left.join(right, "block").filter("left_value < right_value").withColumn("similarity", F.round(1 - far, 6)).filter(F.col("similarity") >= threshold).drop("block")
 
 
+#: Values of one cut of a token's group; a cell of the join holds two cuts.
+CUT_VALUES = 1_000
+
+
+def match_everywhere(a: DataFrame, b: DataFrame, key: str, threshold: float, cut_values: int = CUT_VALUES) -> DataFrame:
+    """All pairs whose normalised edit distance passes the threshold, wherever their letters are.
+
+    With m characters in the longer value, d edits leave m - d in common, each
+    counted as often as both have it.  Of characters numbered within their value
+    and set in one order, rare ones first, a pair so shares one among the first
+    d + 1 of both values; it is judged at the first that it shares, if the lengths
+    allow it.  Characters of many values are cut, and each two cuts meet apart.
+    """
+    if not 0.01 <= threshold <= 1:
+        raise ValueError("threshold must be from 0.01 to 1")
+
+    def edits(length: Column) -> Column:
+        return F.floor(length * (1 - threshold + 5e-7) + 1e-9).cast("int")  # the similarity is rounded to six places
+
+    sides = a.select(F.col(key).alias("value"), F.lit(True).alias("in_a"), F.lit(False).alias("in_b")).unionAll(
+        b.select(F.col(key).alias("value"), F.lit(False).alias("in_a"), F.lit(True).alias("in_b"))
+    )
+    values = sides.filter("value <> ''").groupBy("value").agg(F.max("in_a").alias("in_a"), F.max("in_b").alias("in_b"))
+    letters = values.select("*", F.explode(F.expr("transform(sequence(1, length(value)), i -> substring(value, i, 1))")).alias("letter"))
+    counted = letters.groupBy("value", "in_a", "in_b", "letter").count()
+    tokens = counted.select("value", "in_a", "in_b", F.explode(F.expr("transform(sequence(1L, count), k -> concat(letter, k))")).alias("token"))
+    ordered = tokens.join(tokens.groupBy("token").count(), "token").groupBy("value", "in_a", "in_b").agg(
+        F.array_sort(F.collect_list(F.struct("count", "token"))).alias("own")
+    )
+    first = ordered.withColumn("n", F.length("value")).withColumn("own", F.slice("own", F.lit(1), edits(F.col("n")) + 1))
+    cut = first.select("*", F.explode("own").alias("t")).withColumn("n_cuts", F.ceil(F.col("t.count") / cut_values))
+    cut = cut.withColumn("cut", F.pmod(F.xxhash64("value"), "n_cuts")).withColumn("other", F.explode(F.expr("sequence(0L, n_cuts - 1)")))
+    cells = cut.select("value", "in_a", "in_b", "n", F.col("own.token").alias("own"), F.col("t.token").alias("token"), "cut", F.least("cut", "other").alias("low"), F.greatest("cut", "other").alias("high"))
+    left, right = (cells.select("token", "low", "high", *[F.col(c).alias(f"{side}_{c}") for c in ("value", "in_a", "in_b", "n", "own", "cut")]) for side in ("left", "right"))
+    longer = F.greatest("left_n", "right_n")
+    met = left.filter("left_in_a").join(right.filter("right_in_b"), ["token", "low", "high"]).filter(
+        (F.col("left_value") < F.col("right_value")) & (longer - F.least("left_n", "right_n") <= edits(longer))
+        & (F.least("left_cut", "right_cut") == F.col("low")) & (F.greatest("left_cut", "right_cut") == F.col("high"))
+        & (F.element_at(F.array_intersect("left_own", "right_own"), 1) == F.col("token"))
+    )
+    far = F.levenshtein("left_value", "right_value") / longer
+    return met.select("left_value", "right_value", F.round(1 - far, 6).alias("similarity")).filter(F.col("similarity") >= threshold)
+
+
 def detect_errors(df: DataFrame, rules: dict[str, str], keys: list[str]) -> DataFrame:
     """A row for each rule that a row violates; one scan."""
     broken = F.filter(F.array(*[F.when(F.coalesce(F.expr(e), F.lit(True)), F.lit(None).cast("string")).otherwise(F.lit(n)) for n, e in rules.items()]), lambda x: x.isNotNull())

@@ -455,6 +455,11 @@ def _(t):
     return profile.match_entities(t.part, t.part, "p_name", F.expr("substring(left_value, 1, 2)"), 0.5)
 
 
+@query("e19_match_everywhere", f"WITH n AS ({_NAMES}) SELECT a.p_name AS left_value, b.p_name AS right_value, round(1 - levenshtein(a.p_name, b.p_name) / greatest(length(a.p_name), length(b.p_name)), 6) AS similarity FROM n a JOIN n b ON a.p_name < b.p_name WHERE round(1 - levenshtein(a.p_name, b.p_name) / greatest(length(a.p_name), length(b.p_name)), 6) >= 0.5")
+def _(t):
+    return profile.match_everywhere(t.part, t.part, "p_name", 0.5)
+
+
 @query("e19_errors", f"SELECT l_orderkey, l_linenumber, l_suppkey, r AS rule FROM {L}, (VALUES ('dirty segment'), ('long discount')) AS v(r) WHERE (r = 'dirty segment' AND trim(segment_raw) IN ('', 'N/A')) OR (r = 'long discount' AND quantity_m > 48)")
 def _(t):
     rules = {"dirty segment": "trim(segment_raw) NOT IN ('', 'N/A')", "long discount": "quantity_m <= 48"}
