@@ -314,8 +314,12 @@ def test_jaccard(docs, k, percent):
     assert len({c for _, c in got.values()}) < len(got)
 
 
-def test_jaccard_cuts(docs, monkeypatch):
-    monkeypatch.setattr(jaccard, "CUT_SETS", 4)
+@pytest.mark.parametrize("bounds", [
+    {"CUT_SETS": 4}, {"CUT_SETS": 5, "FLAT_ROWS": 2, "FIRST_WINDOW": 1, "GROWTH": 2, "ASKING_ROWS": 3}, {"FLAT_ROWS": 1, "BROADCAST_PAIRS": 0},
+])
+def test_jaccard_cuts(docs, monkeypatch, bounds):
+    for name, value in bounds.items():
+        monkeypatch.setattr(jaccard, name, value)
     got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard.jaccard_components(docs, 3, 80).collect()}
     assert got == brute_components(documents(), 3, 80)
 

@@ -64,12 +64,34 @@ def stored(df: DataFrame, what: str) -> DataFrame:
     """``df`` as a table in the shared folder: lineage ends and lost executors cost nothing."""
     path = scratch(df.sparkSession, what)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.stored_at = path
+    return out
+
+
+def dropped(*tables: DataFrame) -> None:
+    """Deletes tables made by ``stored`` that nothing to come reads."""
+    for t in tables:
+        _forget(t.sparkSession, t.stored_at)
+
+
+def column(name: str):
+    """The column of exactly this name, whatever dots or quotes are in it."""
+    return F.col("`" + name.replace("`", "``") + "`")
+
+
+def free_name(df: DataFrame, like: str) -> str:
+    """A name that no column of ``df`` has, in any case of letters."""
+    taken = {c.lower() for c in df.columns}
+    name = like
+    while name.lower() in taken:
+        name += "_"
+    return name
 
 
 def text_bytes(name: str = "text"):
     """The column's UTF-8 bytes; null counts as empty."""
-    return F.coalesce(F.col(name), F.lit("")).cast("binary")
+    return F.coalesce(column(name), F.lit("")).cast("binary")
 
 
 def with_batches(

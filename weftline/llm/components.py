@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import dropped, stored
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -24,14 +24,17 @@ def components(links: DataFrame) -> DataFrame:
     edges, phases = stored(pairs.distinct(), "edges"), []
     while not edges.isEmpty():
         phases.append(rooted(edges.groupBy(F.col("a").alias("id")).agg(F.min("b").alias("root"))))
-        edges = stored(contracted(edges, phases[-1]), "edges")
+        before, edges = edges, stored(contracted(edges, phases[-1]), "edges")
+        dropped(before)
     if not phases:
         return edges.select(F.col("a").alias("id"), F.col("b").alias("component"))
     whole = phases.pop()
     while phases:
         later = whole.select(F.col("id").alias("root"), F.col("root").alias("far"))
-        earlier = phases.pop().join(later, "root", "left").select("id", F.coalesce("far", "root").alias("root"))
-        whole = stored(earlier.unionAll(whole), "roots")
+        phase, before = phases.pop(), whole
+        earlier = phase.join(later, "root", "left").select("id", F.coalesce("far", "root").alias("root"))
+        whole = stored(earlier.unionAll(before), "roots")
+        dropped(phase, before)
     least = whole.select(F.col("root").alias("id"), "root").distinct()
     return whole.unionAll(least).withColumnRenamed("root", "component")
 
@@ -41,11 +44,14 @@ def rooted(hooks: DataFrame) -> DataFrame:
     found = stored(hooks, "hooks")
     while True:
         ahead = found.select(F.col("id").alias("root"), F.col("root").alias("far"))
-        jumped = found.join(ahead, "root", "left")
+        jumped = found.select("id", "root").join(ahead, "root", "left")
         done = stored(jumped.select("id", F.coalesce("far", "root").alias("root"), F.col("far").isNotNull().alias("moved")), "hooks")
-        found = done.select("id", "root")
+        dropped(found)
         if done.filter("moved").isEmpty():
-            return found
+            roots = done.select("id", "root")
+            roots.stored_at = done.stored_at
+            return roots
+        found = done
 
 
 def contracted(edges: DataFrame, roots: DataFrame) -> DataFrame:
