@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import gc
 import tempfile
 import uuid
@@ -11,7 +12,8 @@ from contextlib import contextmanager
 from itertools import islice
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: ASCII capitals to small letters; every other byte stays.
@@ -75,7 +77,7 @@ def dropped(*tables: DataFrame) -> None:
         _forget(t.sparkSession, t.stored_at)
 
 
-def column(name: str):
+def column(name: str) -> Column:
     """The column of exactly this name, whatever dots or quotes are in it."""
     return F.col("`" + name.replace("`", "``") + "`")
 
@@ -94,21 +96,60 @@ def text_bytes(name: str = "text"):
     return F.coalesce(column(name), F.lit("")).cast("binary")
 
 
-def with_batches(
-    df: DataFrame, columns: dict[str, pa.DataType], schema: str, each: Callable[..., dict]
-) -> DataFrame:
-    """Maps Arrow batches: ``each(names → lists)`` gives names → lists for ``columns``."""
-    out = pa.schema(list(columns.items()))
+#: Bytes of texts that a worker takes out of an Arrow batch at once.
+PART_BYTES = 1 << 21
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if batch.num_rows:
-                rows = each({n: batch.column(i) for i, n in enumerate(batch.schema.names)})
-                yield pa.RecordBatch.from_arrays(
-                    [as_array(rows[f.name], f.type) for f in out], schema=out
-                )
 
-    return df.mapInArrow(run, schema)
+def parts(values: pa.Array, most: int = PART_BYTES) -> Iterator[pa.Array]:
+    """Slices of a column of texts or bytes, of about ``most`` bytes each or a single row."""
+    ends = pc.cumulative_sum(pc.cast(pc.fill_null(pc.binary_length(values), 0), pa.int64())).to_pylist()
+    begin, before = 0, 0
+    for at, end in enumerate(ends):
+        if end - before >= most:
+            yield values.slice(begin, at + 1 - begin)
+            begin, before = at + 1, end
+    if begin < len(values):
+        yield values.slice(begin)
+
+
+def struct_of(fields: dict[str, tuple[str, pa.DataType]], each: Callable[[list], list], after: Callable[[], None] = lambda: None) -> Callable[[Column], Column]:
+    """A function of a column of texts or bytes to a struct: ``each`` makes the fields' lists of a list of values.
+
+    Other columns stay in the JVM, a worker holds a part of a batch at a time,
+    and at the end of a task it gives back what it took.  The function counts as
+    not deterministic, so that the optimizer never runs it twice.
+    """
+
+    def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        try:
+            for values in batches:
+                made = [
+                    pa.StructArray.from_arrays([as_array(c, kind) for c, (_, kind) in zip(each(part.to_pylist()), fields.values())], list(fields))
+                    for part in parts(values)
+                ]
+                yield pa.concat_arrays(made) if made else pa.array([], pa.struct([(n, kind) for n, (_, kind) in fields.items()]))
+        finally:
+            after()
+            released()
+
+    return F.arrow_udf(run, "struct<" + ", ".join(f"{n}: {kind}" for n, (kind, _) in fields.items()) + ">").asNondeterministic()
+
+
+def with_results(docs: DataFrame, made: Column, names: list[str], without: tuple[str, ...] = ()) -> DataFrame:
+    """``docs`` with fields of the struct ``made`` as columns; columns of these names are replaced, others stay."""
+    result = free_name(docs, "made")
+    gone = {n.lower() for n in (*names, *without)}
+    own = [column(c) for c in docs.columns if c.lower() not in gone]
+    return docs.withColumn(result, made).select(*own, *[column(result)[n].alias(n) for n in names])
+
+
+def released() -> None:
+    """Gives memory that Python and Arrow hold without need back to the system."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library: it keeps its memory
+        pass
 
 
 def as_array(values, kind: pa.DataType) -> pa.Array:
@@ -166,6 +207,10 @@ class Recent:
             self.new.update(make(list(lacking)))
         return self.new
 
+    def rest(self, most: int = 30_000) -> None:
+        """Forgets all but the entries that came first, mostly those of frequent keys."""
+        self.old, self.new = {}, dict(islice(self.new.items(), most))
+
     def keep(self, entries: dict) -> None:
         """Adds entries; those found long ago go first."""
         if len(self.new) + len(entries) > self.bound:
