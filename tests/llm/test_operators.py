@@ -8,6 +8,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import public_tokenizers as P
 import tiktoken
@@ -100,7 +101,7 @@ def test_licence_places(spark):
     [
         ("MIT", {"mit"}, True), ("MIT AND GPL-3.0-only", {"mit"}, False), ("GPL-3.0-only OR MIT AND ISC", {"mit", "isc"}, True),
         ("(GPL-3.0-only OR MIT) AND ISC", {"mit"}, False), ("GPL-2.0-only WITH Classpath-exception-2.0", {"gpl-2.0-only with classpath-exception-2.0"}, True),
-        ("GPL-2.0-only WITH Classpath-exception-2.0 OR X", {"y"}, False),
+        ("GPL-2.0-only WITH Classpath-exception-2.0 OR X", {"y"}, False), ("MIT WITH X OR Y", {"mit"}, True),
     ],
 )
 def test_expressions(told, accepted, good):
@@ -108,8 +109,16 @@ def test_expressions(told, accepted, good):
 
 
 def test_malformed_expressions():
-    for told in ("", "MIT OR", "AND MIT", "(MIT", "MIT)", "MIT ISC", "()"):
+    for told in ("", "MIT OR", "AND MIT", "(MIT", "MIT)", "MIT ISC", "()", "(A OR B) WITH C", "A WITH (B OR C)", "A WITH B WITH C", "A WITH", "WITH B"):
         assert licences.postfix(told) is None
+    assert licences.identifiers(licences.postfix("A with B or (C and D)")) == {"a with b", "c", "d"}
+
+
+def test_long_expressions(spark):
+    many = " with ".join(f"(a{i} or b{i})" for i in range(40))
+    rows = [(1, f"SPDX-License-Identifier: {many}"), (2, "SPDX-License-Identifier: " + " OR ".join(["MIT"] * 50_000)), (3, "x" * 3_000_000)]
+    got = by_id(licences.scan_licences(spark.createDataFrame(rows, "doc_id int, text string")))
+    assert (got[1]["allowed"], got[2]["allowed"], got[3]["n_words"]) == (False, True, 1) and got[2]["labels"] == "mit"
 
 
 # 2 substring dedup
@@ -188,10 +197,15 @@ def test_damaged_record(tmp_path):
 
 def test_word_encoder_is_exact():
     coder, tokenizer, rng = records.WordEncoder(WORDS), Tokenizer.from_file(WORDS), random.Random(2)
-    letters = [*"abIİΣσς é́'1.\n \t\xa0　\x1c<|>", "<|endoftext|>", "ﬁ", "'s"]
+    letters, texts = [*"abIİΣσς é,́'1.\n \t\xa0　\x1c<|>", "<|endoftext|>", "<|ENDOFTEXT|>", "\x01", "ﬁ", "'s"], []
     for _ in range(1500):
         text = "".join(rng.choice(letters) for _ in range(rng.randint(0, 30)))
-        assert np.frombuffer(coder.encode([text])[0], coder.kind).tolist() == tokenizer.encode(text, add_special_tokens=False).ids
+        texts.append(text)
+    flat, ends = coder.encode(pa.array([t.encode() for t in ["left out", *texts]], pa.binary()).slice(1))
+    for text, begin, end in zip(texts, ends, ends[1:]):
+        assert flat[begin:end].tolist() == tokenizer.encode(text, add_special_tokens=False).ids
+    flat, ends = coder.encode(pa.array([], pa.binary()))
+    assert (flat.tolist(), ends.tolist()) == ([], [0])
 
 
 # 4 byte-level BPE
@@ -384,6 +398,16 @@ def test_quality_verdicts(spark):
     assert got[0]["clean_text"] == good
 
 
+def test_navigation():
+    for line, told in (
+        ("делал", False), ("Он сделал это вчера.", False), ("главная | новости | о нас", False), ("главная » новости » блог", True), ("首页 · 新闻 ·", True),
+        ("这是 一 句 话。", False), ("a | b", False), ("a > b > c", True), ("a >> b > c", False), ("л" * 1_000_000 + " x y", False), ("a|" * 500_000, True),
+    ):
+        assert quality.navigation(line) is told, line[:40]
+    long = ("л" * 24 + " ") * 2 + "слово " * 50_000
+    assert quality.failed_rule(long.encode(), long.encode().split(), quality.Rules()) == "open"
+
+
 def test_quality_against_labels(spark, tiny):
     tiny = tiny.replace("sf0.001", "sf0.01")
     judged = quality.quality(spark.read.parquet(f"{tiny}/documents.parquet"), results=("kept", "base_failed"))
@@ -425,6 +449,13 @@ def test_urls_without_labels(spark):
     assert urls.filter_urls(spark.createDataFrame([], "page_id int, url string")).count() == 0
 
 
+def test_url_sample_is_bounded_and_exact(spark):
+    rows = [(f"http://a.net/{i % 700}", i % 2 == 0) for i in range(3000)] + [("http://hot.org/fr/", True)] * 3000
+    told = spark.createDataFrame(rows, "url string, blocked boolean").repartition(5)
+    for n in (10, 1000, 5900, 20_000):
+        assert urls.fit_urls(told, rows=n).suffixes.prior >= 0
+
+
 # 9 decontamination
 
 
@@ -450,7 +481,7 @@ def brute_hits(rows, items, n=10):
 @pytest.mark.parametrize("broadcast", [True, False])
 def test_decontamination(spark, docs, nothing, monkeypatch, broadcast):
     if not broadcast:
-        monkeypatch.setattr(decontaminate, "BROADCAST_WINDOWS", 0)
+        monkeypatch.setattr(decontaminate, "BROADCAST_BYTES", 0)
     rows = documents()
     items = [(1, " ".join(rows[10][1].split()[5:25]).upper()), (2, "one"), (3, None), (4, "!!"), (10, " ".join(rows[10][1].split()[8:20])), (11, "Spam " * 12), (12, "never in any of the documents at all is this one"), (2, "one")]
     benchmark = spark.createDataFrame(items, "item_id bigint, text string")
@@ -507,6 +538,62 @@ def test_warc_long_urls(spark):
         assert sorted((r["page_id"], r["url"], bytes(r["html"]).decode()) for r in got) == rows
 
 
+# names of columns
+
+
+CLASHING = {
+    "n_words": "a", "kept": "b", "items": "c", "spans": "d", "n_hit": "e", "_id": "f", "_decided": "g", "judged": "h", "made": "i", "gone": "j", "verdict": "k",
+    "a.b": "l", "a`b": "m", "left": "n", "id": "o", "raw": "p", "_made": "q", "labels": "r", "token_ids": "s", "hit": "t", "clean_text": "u", "url_host": "v",
+}
+
+
+def test_clashing_names(spark):
+    text = "The rules keep a text like this one, which has whole sentences. It goes on and on and says little more than that."
+    frame = spark.createDataFrame([(1, text, *CLASHING.values()), (2, None, *CLASHING.values())], ["doc_id", "text", *CLASHING])
+    frame = frame.withColumn("doc_id", frame["doc_id"].cast("long"))
+    bench = spark.createDataFrame([(1, "nothing of this is in there")], "item_id int, text string")
+
+    def kept(out, results=(), lost=()):
+        rows = [r.asDict() for r in out.collect()]
+        assert rows and all(r[n] == v for r in rows for n, v in CLASHING.items() if n not in results)
+        assert set(out.columns) == (set(frame.columns) - set(lost)) | set(results)
+
+    kept(quality.quality(frame, results=("kept",)), ("kept",))
+    kept(quality.quality(frame), tuple(quality.FIELDS))
+    kept(quality.good_documents(frame))
+    kept(jaccard.one_of_each(frame))
+    kept(substrings.remove_repeats(frame))
+    kept(decontaminate.decontaminate(frame, bench))
+    kept(decontaminate.decontaminate(frame, bench, how="spans"))
+    kept(decontaminate.flag(frame, bench), ("n_words", "n_hit", "items", "spans", "contaminated"))
+    kept(licences.scan_licences(frame), tuple(licences.FIELDS), ("text",))
+    kept(wordpiece.count_pieces(frame, RANKS), tuple(wordpiece.FIELDS), ("text",))
+    kept(bpe.encode(frame, RANKS, P.PATTERN), ("n_tokens", "token_ids", "ids_sha256", "decoded_sha256"), ("text",))
+    kept(urls.filter_urls(frame, url="text"), urls.RESULTS)
+
+
+# very long texts
+
+
+def test_very_long_texts(spark):
+    rng = random.Random(3)
+    long = " ".join(rng.choice("abcdefgh") * rng.randint(1, 9) for _ in range(60_000))
+    texts = [long, "spam " * 60_000, "x" * 20_000_000, "y" * 1_000_000 + "\n" + "z " * 1000, long + " tail", "spam " * 60_001 + "tail"]
+    rows = list(enumerate(texts))
+    frame = spark.createDataFrame(rows, "doc_id bigint, text string").repartition(2)
+    repeats = {r["doc_id"]: (r["n_words"], r["n_removed"]) for r in substrings.repeat_digests(frame).collect()}
+    assert repeats == {0: (60_000, 0), 1: (60_000, 0), 2: (1, 0), 3: (1001, 0), 4: (60_001, 60_000), 5: (60_002, 60_001)}
+    judged = by_id(quality.quality(frame, results=("n_words", "n_repeat_words", "kept")).drop("text"))
+    assert judged[1]["n_repeat_words"] == 60_000 and not judged[1]["kept"] and judged[2]["n_words"] == 1
+    assert by_id(licences.scan_licences(frame))[0]["n_words"] == 60_000
+    flagged = by_id(decontaminate.flag(frame, spark.createDataFrame([(7, "spam " * 12)], "item_id int, text string")).drop("text"))
+    assert {i for i, r in flagged.items() if r["contaminated"]} == {1, 5} and flagged[1]["n_hit"] == 60_000
+    counted = by_id(wordpiece.count_pieces(frame, RANKS, spell_all=True))
+    assert counted[2]["n_words"] == 1 and counted[2]["n_pieces"] > 1000
+    found = {r["doc_id"]: r["component_id"] for r in jaccard.jaccard_components(frame, 3, 90).collect()}
+    assert found == {0: 0, 1: 1, 2: 2, 3: 3, 4: 0, 5: 5}
+
+
 # the pipeline
 
 

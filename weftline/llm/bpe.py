@@ -11,7 +11,8 @@ bounded size; cutting at single blanks between other characters never changes
 the matches of the pattern, and any other white space goes through the pattern.
 
 Defined cases.  A null or empty text has no ids; decoding gives zero bytes.
-Repeated rows are encoded alike, extra columns pass through.
+Repeated rows are encoded alike.  Extra columns pass through whatever their
+names, those named like the results are replaced.  A piece may be of any length.
 """
 
 from __future__ import annotations
@@ -19,6 +20,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import re
+from collections.abc import Iterator
 from functools import cache
 from itertools import chain
 
@@ -28,7 +30,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Recent, few_collections, in_pieces
+from .common import Recent, column, few_collections, free_name, in_pieces, struct_of, with_results
 
 #: Code points with the White_Space property but the line feed and the blank.
 OTHER_SPACE = "\t\x0b\x0c\r\x85\xa0  -     　"
@@ -39,8 +41,8 @@ NONE = np.int64(1) << 62
 POSITION_BITS = 24
 #: Leaves from which a piece gets a tree of its own.
 LONE_LEAVES = 256
-CACHED_WORDS = 250_000
-BATCH_BYTES = 1 << 23
+#: Entries that a cache keeps at most, twice over, and length from which on it keeps none.
+CACHED_WORDS, LONG_WORD = 120_000, 64
 
 
 class Ranks:
@@ -206,10 +208,15 @@ class Encoder:
                 parts |= fresh
                 new = {c: b"".join(map(parts.__getitem__, ps)) for c, ps in zip(lacking, pieces)}
                 coded |= new
-                self.parts.keep({p: v for p, v in fresh.items() if len(p) < LONE_LEAVES})
-                self.words.keep({c: v for c, v in new.items() if len(c) < LONE_LEAVES})
+                self.parts.keep({p: v for p, v in fresh.items() if len(p) < LONG_WORD})
+                self.words.keep({c: v for c, v in new.items() if len(c) < LONG_WORD})
             return [b"".join(map(coded.__getitem__, chunks)) for chunks in cut]
 
+    def rest(self) -> None:
+        """Leaves small caches to the worker's next task."""
+        self.words.rest()
+        self.parts.rest()
+
     def decode(self, ids: bytes) -> bytes:
         return b"".join(map(self.ranks.tokens.__getitem__, np.frombuffer(ids, "<u4").tolist()))
 
@@ -227,44 +234,33 @@ def encode(docs: DataFrame, path: str, pattern: str, *, text: str = "text", ids:
         fields["token_ids"] = ("array<int>", pa.list_(pa.int32()))
     if digests:
         fields |= {"ids_sha256": ("string", pa.string()), "decoded_sha256": ("string", pa.string())}
-    own = [c for c in docs.columns if c not in fields and c != text]
-    schema = ", ".join(
-        [f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name in own]
-        + [f"{n} {kind}" for n, (kind, _) in fields.items()]
-    )
 
-    def run(batches):
+    def each(texts: list[str]) -> list:
         bpe = encoder(path, pattern)
-        for batch in batches:
-            texts = batch.column(batch.num_columns - 1).to_pylist()
-            done = 0
-            for part in in_pieces(texts, len, BATCH_BYTES):
-                coded = bpe.encode(part)
-                out = [batch.column(i).slice(done, len(part)) for i in range(len(own))]
-                out.append(pa.array([len(c) // 4 for c in coded], pa.int64()))
-                if ids:
-                    flat = np.frombuffer(b"".join(coded), "<i4")
-                    ends = np.cumsum([0, *[len(c) // 4 for c in coded]]).astype(np.int32)
-                    out.append(pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat, pa.int32())))
-                if digests:
-                    out.append(pa.array([hashlib.sha256(c).hexdigest() for c in coded]))
-                    out.append(pa.array([hashlib.sha256(bpe.decode(c)).hexdigest() for c in coded]))
-                yield pa.RecordBatch.from_arrays(out, [*own, *fields])
-                done += len(part)
-
-    return docs.select(*own, F.coalesce(F.col(text), F.lit("")).alias("_text")).mapInArrow(run, schema)
+        coded = bpe.encode(texts)
+        lengths = [len(c) // 4 for c in coded]
+        out: list = [lengths]
+        if ids:
+            flat = np.frombuffer(b"".join(coded), "<i4")
+            out.append(pa.ListArray.from_arrays(pa.array(np.cumsum([0, *lengths]).astype(np.int32)), pa.array(flat, pa.int32())))
+        if digests:
+            out.append([hashlib.sha256(c).hexdigest() for c in coded])
+            out.append([hashlib.sha256(bpe.decode(c)).hexdigest() for c in coded])
+        return out
+
+    made = struct_of(fields, each, lambda: encoder(path, pattern).rest())
+    return with_results(docs, made(F.coalesce(column(text), F.lit(""))), list(fields), without=(text,))
 
 
 def decode(coded: DataFrame, path: str, pattern: str, *, ids: str = "token_ids") -> DataFrame:
     """``coded`` with ``text_bytes``, the bytes that the ids stand for."""
-    own = [f for f in coded.schema if f.name != "text_bytes"]
-    schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in own] + ["text_bytes binary"])
-    at = [f.name for f in own].index(ids)
+    result = free_name(coded, "made")
 
-    def run(batches):
+    def joined(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         tokens = encoder(path, pattern).ranks.tokens
         for batch in batches:
-            rows = [b"".join(map(tokens.__getitem__, r or ())) for r in batch.column(at).to_pylist()]
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(rows, pa.binary())], [*batch.schema.names, "text_bytes"])
+            yield pa.array([b"".join(map(tokens.__getitem__, r or ())) for r in batch.to_pylist()], pa.binary())
 
-    return coded.select(*[f.name for f in own]).mapInArrow(run, schema)
+    made = F.arrow_udf(joined, "binary")(column(ids))
+    own = [column(c) for c in coded.columns if c.lower() != "text_bytes"]
+    return coded.withColumn(result, made).select(*own, column(result).alias("text_bytes"))

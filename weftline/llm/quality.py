@@ -8,7 +8,9 @@ measures (words, symbols, repeated lines and five-word windows) come with it.
 Defined cases.  A null or empty text has no words and fails.  Lines without a
 word are neither kept nor lost.  Rows that repeat are judged alike, each on its
 own; there is no state between rows, so neither hot sources nor lost executors
-matter.  Extra columns pass through, and those named like results are replaced.
+matter.  A line or a word may be of any length: every rule is linear in it.
+Extra columns pass through whatever their names; those named like the results
+asked for are replaced.
 """
 
 from __future__ import annotations
@@ -20,7 +22,7 @@ from itertools import islice
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import text_bytes
+from .common import column, free_name, struct_of, text_bytes, with_results
 
 SYMBOLS = b"#*$%&|<>"
 
@@ -30,7 +32,7 @@ BOILERPLATE = (
     b"terms of use", b"terms of service", b"enable javascript", b"click here",
     b"read more", b"subscribe to our", b"sign in to", b"lorem ipsum",
 )
-NAVIGATION = re.compile(rb"(?:[^\s|>/]+\s*(?:[|>\xbb/]|\xc2\xb7|\xe2\x80\xa2)\s*){2,}[^\s|>/]*$")
+SEPARATOR = re.compile("[|>/»·•]")
 END = re.compile(r"[.!?:;…。！？»”\"')\]]$")
 
 
@@ -65,24 +67,30 @@ def repeated_words(words: list[bytes]) -> int:
     return covered
 
 
+def navigation(text: str) -> bool:
+    """Whether a line is three or more single words between separators, the last of which may be missing."""
+    *items, last = SEPARATOR.split(text)
+    return len(items) >= 2 and all(len(item.split(None, 2)) == 1 for item in items) and len(last.split(None, 2)) < 2
+
+
 def failed_rule(line: bytes, words: list[bytes], rules: Rules) -> str | None:
     """The first rule that the line fails."""
     n = len(words)
+    text = line.decode("utf-8", "replace")
     if len(line) - len(line.translate(None, SYMBOLS)) > rules.symbols_per_word * n:
         return "symbols"
     if n >= rules.shouting_words:
-        text = line.decode("utf-8", "replace")
         letters = sum(map(str.isalpha, text))
         if letters and sum(map(str.isupper, text)) > rules.shouting_share * letters:
             return "shouting"
         if text.count("!") > rules.shouting_share * n:
             return "shouting"
     small = line.lower()
-    if NAVIGATION.match(small.strip()):
+    if navigation(text):
         return "navigation"
     if n <= 25 and any(p in small for p in BOILERPLATE):
         return "boilerplate"
-    if n >= rules.open_line_words and not END.search(line.decode("utf-8", "replace").rstrip()):
+    if n >= rules.open_line_words and not END.search(text.rstrip()):
         return "open"
     return None
 
@@ -113,11 +121,22 @@ def judge(raw: bytes, rules: Rules) -> tuple:
 
 
 FIELDS = {
-    "n_words": pa.int64(), "word_chars": pa.int64(), "n_symbols": pa.int64(), "n_dup_lines": pa.int64(),
-    "n_repeat_words": pa.int64(), "base_failed": pa.bool_(), "kept": pa.bool_(),
-    "n_lines_removed": pa.int64(), "n_words_lost": pa.int64(), "clean_text": pa.string(),
+    "n_words": ("bigint", pa.int64()), "word_chars": ("bigint", pa.int64()), "n_symbols": ("bigint", pa.int64()),
+    "n_dup_lines": ("bigint", pa.int64()), "n_repeat_words": ("bigint", pa.int64()), "base_failed": ("boolean", pa.bool_()),
+    "kept": ("boolean", pa.bool_()), "n_lines_removed": ("bigint", pa.int64()), "n_words_lost": ("bigint", pa.int64()),
+    "clean_text": ("string", pa.string()),
 }
-SPARK = {"int64": "bigint", "bool": "boolean", "string": "string"}
+
+
+def judgement(text: str, rules: Rules, results: tuple[str, ...]):
+    """The struct of ``results`` for the column ``text``."""
+    at = [list(FIELDS).index(c) for c in results]
+
+    def each(raws: list[bytes]) -> list[list]:
+        rows = [judge(raw, rules) for raw in raws]
+        return [[r[k].decode("utf-8", "replace") if c == "clean_text" else r[k] for r in rows] for c, k in zip(results, at)]
+
+    return struct_of({c: FIELDS[c] for c in results}, each)(text_bytes(text))
 
 
 def quality(docs: DataFrame, rules: Rules = Rules(), *, text: str = "text", results: tuple[str, ...] = tuple(FIELDS)) -> DataFrame:
@@ -125,26 +144,11 @@ def quality(docs: DataFrame, rules: Rules = Rules(), *, text: str = "text", resu
 
     ``results`` names the result columns wanted; ``clean_text`` is costly to move.
     """
-    own = [c for c in docs.columns if c not in FIELDS]
-    judged = docs.select(*own, text_bytes(text).alias("_raw"))
-    schema = ", ".join(
-        [f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name in own]
-        + [f"{c} {SPARK[str(FIELDS[c])]}" for c in results]
-    )
-    order = list(FIELDS)
-
-    def run(batches):
-        for batch in batches:
-            rows = [judge(raw, rules) for raw in batch.column(batch.num_columns - 1).to_pylist()]
-            out = [batch.column(i) for i in range(len(own))]
-            names = list(own)
-            for c in results:
-                k = order.index(c)
-                values = [r[k] for r in rows]
-                if c == "clean_text":
-                    values = [v.decode("utf-8", "replace") for v in values]
-                out.append(pa.array(values, FIELDS[c]))
-                names.append(c)
-            yield pa.RecordBatch.from_arrays(out, names)
-
-    return judged.mapInArrow(run, schema)
+    return with_results(docs, judgement(text, rules, results), list(results))
+
+
+def good_documents(docs: DataFrame, rules: Rules = Rules(), *, text: str = "text") -> DataFrame:
+    """The rows of ``docs`` that the rules keep, as they are."""
+    verdict = free_name(docs, "verdict")
+    judged = docs.withColumn(verdict, judgement(text, rules, ("kept",)))
+    return judged.filter(column(verdict)["kept"]).drop(column(verdict))

@@ -9,7 +9,8 @@ piece is built, and a byte is read once.
 
 Defined cases.  A null or empty text has no words and no pieces.  A word that
 the vocabulary cannot spell counts as one unknown piece.  Extra columns pass
-through; repeated rows are counted alike, each by itself.
+through whatever their names, those named like the results are replaced;
+repeated rows are counted alike, each by itself.
 """
 
 from __future__ import annotations
@@ -22,9 +23,10 @@ from itertools import chain
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import Recent, few_collections, in_pieces, text_bytes
+from .common import Recent, few_collections, struct_of, text_bytes, with_results
 
-CACHED_WORDS = 250_000
+#: Words that the cache keeps at most, twice over, and bytes from which on it keeps none.
+CACHED_WORDS, LONG_WORD = 150_000, 64
 
 
 class Pieces:
@@ -98,33 +100,26 @@ def pieces(path: str, spell_all: bool) -> tuple[Pieces, Recent]:
     return from_ranks(path, spell_all), Recent(CACHED_WORDS)
 
 
-RESULTS = ("n_words", "n_pieces", "n_unknown")
+FIELDS = {c: ("bigint", pa.int64()) for c in ("n_words", "n_pieces", "n_unknown")}
 
 
 def count_pieces(docs: DataFrame, path: str, *, text: str = "text", spell_all: bool = False) -> DataFrame:
     """``docs`` without the text, with n_words, n_pieces (unknown ones included) and n_unknown."""
-    own = [f for f in docs.schema if f.name not in (*RESULTS, text)]
-    schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in own] + [f"{c} bigint" for c in RESULTS])
 
-    def run(batches):
+    def each(raws: list[bytes]) -> list[list[int]]:
         automaton, cached = pieces(path, spell_all)
-        for batch in batches:
-            rows, done = [], 0
-            with few_collections():
-                for some in in_pieces(batch.column(len(own)).to_pylist(), len, 1 << 23):
-                    cut = [t.split() for t in some]
-                    counts, lacking = cached.known(set(chain.from_iterable(cut)))
-                    new = {w: automaton.count(w) for w in lacking}
-                    counts |= new
-                    cached.keep({w: c for w, c in new.items() if len(w) < 200})
-                    for words in cut:
-                        each = list(map(counts.__getitem__, words))
-                        unknown = each.count(0)
-                        rows.append((len(each), sum(each) + unknown, unknown))
-                    done += len(some)
-            yield pa.RecordBatch.from_arrays(
-                [*batch.columns[: len(own)], *[pa.array([r[k] for r in rows], pa.int64()) for k in range(3)]],
-                [f.name for f in own] + list(RESULTS),
-            )
-
-    return docs.select(*[f.name for f in own], text_bytes(text).alias("_raw")).mapInArrow(run, schema)
+        rows = []
+        with few_collections():
+            cut = [raw.split() for raw in raws]
+            counts, lacking = cached.known(set(chain.from_iterable(cut)))
+            new = {w: automaton.count(w) for w in lacking}
+            counts |= new
+            cached.keep({w: c for w, c in new.items() if len(w) < LONG_WORD})
+            for words in cut:
+                counted = list(map(counts.__getitem__, words))
+                unknown = counted.count(0)
+                rows.append((len(counted), sum(counted) + unknown, unknown))
+        return [[r[k] for r in rows] for k in range(3)]
+
+    made = struct_of(FIELDS, each, lambda: pieces(path, spell_all)[1].rest())
+    return with_results(docs, made(text_bytes(text)), list(FIELDS), without=(text,))
