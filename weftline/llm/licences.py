@@ -7,8 +7,10 @@ brackets; a shunting-yard parser brings it to postfix form, from which come the
 identifiers and whether a set of accepted licences satisfies it.
 
 Defined cases.  A null or empty text has no words, places or labels and score 0.
-A malformed expression is reported as it stands and satisfies nothing.  Rows
-that repeat are scanned alike; extra columns pass through, those named like the
+A malformed expression is reported as it stands and satisfies nothing; WITH
+binds one licence and one exception, so anything else beside it is malformed.
+Scanning and parsing are linear in the text.  Rows that repeat are scanned
+alike; extra columns pass through whatever their names, those named like the
 results are replaced.
 """
 
@@ -21,7 +23,7 @@ import ahocorasick
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import LOWER_ALNUM, text_bytes
+from .common import LOWER_ALNUM, struct_of, text_bytes, with_results
 
 #: Phrases whose places are counted, and their labels.
 BASE = {
@@ -63,8 +65,12 @@ BINDING = {"or": 1, "and": 2, "with": 3}
 def postfix(expression: str) -> list[str] | None:
     """The expression in postfix form, by a shunting yard; None if malformed."""
     out, waiting, operand_next = [], [], True
+    before = before_that = ""
     for symbol in SYMBOL.findall(expression):
         word = symbol.lower()
+        if word == "with" and (before == ")" or before_that == "with") or symbol == "(" and before == "with":
+            return None
+        before_that, before = before, word
         if symbol == "(":
             if not operand_next:
                 return None
@@ -95,8 +101,15 @@ def postfix(expression: str) -> list[str] | None:
 
 
 def identifiers(form: list[str]) -> set[str]:
-    """The licences in a postfix form, in small letters, with their exceptions."""
-    return {label for alternative in _alternatives(form) for label in alternative}
+    """The licences in a postfix form, in small letters, each with its exception."""
+    names: list[str] = []
+    for symbol in form:
+        if symbol == "with":
+            exception, licence = names.pop(), names.pop()
+            names.append(f"{licence} with {exception}")
+        elif symbol not in BINDING:
+            names.append(symbol.lower())
+    return set(names)
 
 
 def satisfied(form: list[str], accepted: frozenset[str]) -> bool:
@@ -119,21 +132,6 @@ def satisfied(form: list[str], accepted: frozenset[str]) -> bool:
     return stack[0]
 
 
-def _alternatives(form: list[str]) -> list[frozenset[str]]:
-    """All identifiers as one set: labels name what occurs, whatever joins it."""
-    stack: list[set[str]] = []
-    for symbol in form:
-        if symbol == "with":
-            b, a = stack.pop(), stack.pop()
-            stack.append({f"{x} with {y}" for x in a for y in b})
-        elif symbol in BINDING:
-            b, a = stack.pop(), stack.pop()
-            stack.append(a | b)
-        else:
-            stack.append({symbol.lower()})
-    return [frozenset(s) for s in stack]
-
-
 @cache
 def automaton(base: tuple[tuple[str, str], ...]) -> ahocorasick.Automaton:
     """Keys with a blank on either side; bytes beyond ASCII appear as Latin-1 characters."""
@@ -198,14 +196,10 @@ ACCEPTED = frozenset({"mit", "apache-2.0", "bsd-2-clause", "bsd-3-clause", "isc"
 
 def scan_licences(docs: DataFrame, base: dict[str, str] = BASE, accepted: frozenset[str] = ACCEPTED, *, text: str = "text") -> DataFrame:
     """``docs`` without the text, with the places, labels, score, expressions and verdict of each."""
-    own = [f for f in docs.schema if f.name not in FIELDS and f.name != text]
-    schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in own] + [f"{c} {k}" for c, (k, _) in FIELDS.items()])
     told = tuple(base.items())
 
-    def run(batches):
-        for batch in batches:
-            rows = [scan(raw, told, accepted) for raw in batch.column(len(own)).to_pylist()]
-            found = [pa.array([r[k] for r in rows], kind) for k, (_, kind) in enumerate(FIELDS.values())]
-            yield pa.RecordBatch.from_arrays([*batch.columns[: len(own)], *found], [f.name for f in own] + list(FIELDS))
+    def each(raws: list[bytes]) -> list[list]:
+        rows = [scan(raw, told, accepted) for raw in raws]
+        return [[r[k] for r in rows] for k in range(len(FIELDS))]
 
-    return docs.select(*[f.name for f in own], text_bytes(text).alias("_raw")).mapInArrow(run, schema)
+    return with_results(docs, struct_of(FIELDS, each)(text_bytes(text)), list(FIELDS), without=(text,))
