@@ -10,8 +10,8 @@ bound; scoring covers every row and needs no shuffle.
 Defined cases.  A null URL or one without ``://`` has an empty host and path, fits
 no rule and is judged by the trees like any other (as an empty text).  Without
 labelled URLs, or with one class only, the trees give that class's rate.
-Repeated rows are judged alike; extra columns pass through, those named like
-the results are replaced.
+Repeated rows are judged alike; extra columns pass through whatever their
+names, those named like the results are replaced.
 """
 
 import math
@@ -23,7 +23,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ASCII_CAPITALS, ASCII_SMALL
+from .common import ASCII_CAPITALS, ASCII_SMALL, column, free_name
 
 #: Rules and what they decide.
 RULES = {"net/": "block", "example.net/en/": "allow", "example.com/de/": "block", "org/fr/": "allow"}
@@ -188,15 +188,21 @@ class UrlModel:
 
 
 def fit_urls(labelled: DataFrame, *, url: str = "url", label: str = "blocked", rows: int = FIT_ROWS) -> UrlModel:
-    """Trains on the ``rows`` labelled URLs of smallest hash (ties by the URL)."""
-    sample = (
-        labelled.filter(F.col(label).isNotNull())
-        .select(F.coalesce(F.col(url), F.lit("")).alias("url"), F.col(label).cast("int").alias("y"))
-        .orderBy(F.xxhash64("url"), "url", "y").limit(rows).collect()
-    )
+    """Trains on the ``rows`` labelled URLs of smallest hash (ties by the URL).
+
+    A threshold on the hash leaves few more rows than these to be sorted and
+    sent, however many partitions there are; where it leaves too few, as one URL
+    may make up many rows, it is raised.
+    """
+    known = labelled.filter(column(label).isNotNull()).select(F.coalesce(column(url), F.lit("")).alias("url"), column(label).cast("int").alias("y"))
+    total, share, sample = known.count(), 0.0, []
+    while total and len(sample) < min(rows, total) and share < 1:
+        share = min(1.0, max(8 * share, 1.2 * rows / total))
+        low = known if share == 1 else known.filter(F.xxhash64("url") < F.lit(int(share * 2**64) - 2**63))
+        sample = low.orderBy(F.xxhash64("url"), "url", "y").limit(rows).collect()
     urls, y = [r["url"] for r in sample], np.array([r["y"] for r in sample], float)
-    known = Suffixes.of([parts_of(u)[0] for u in urls], y)
-    return UrlModel(known, Trees.fit(features(urls, known), y))
+    suffix_rates = Suffixes.of([parts_of(u)[0] for u in urls], y)
+    return UrlModel(suffix_rates, Trees.fit(features(urls, suffix_rates), y))
 
 
 RESULTS = ("host", "path", "rule", "block_probability", "verdict")
@@ -207,21 +213,25 @@ def filter_urls(pages: DataFrame, rules: dict[str, str] = RULES, model: UrlModel
 
     Without a model, one is trained on the URLs that rules decide.
     """
-    own = [c for c in pages.columns if c not in RESULTS]
-    ruled = pages.select(*own).withColumns({"host": host(F.col(url)), "path": path(F.col(url))})
-    ruled = ruled.withColumn("rule", fitting_rule(F.col("host"), F.col("path"), rules))
+    names = {c: free_name(pages, f"url_{c}") for c in ("host", "path", "rule")}
+    of = {c: column(name) for c, name in names.items()}
+    probability = free_name(pages, "url_probability")
+    told = pages.withColumns({names["host"]: host(column(url)), names["path"]: path(column(url))})
+    told = told.withColumn(names["rule"], fitting_rule(of["host"], of["path"], rules))
     decided = F.lit(None).cast("string")
     for rule, verdict in rules.items():
-        decided = F.when(F.col("rule") == rule, F.lit(verdict)).otherwise(decided)
-    ruled = ruled.withColumn("_decided", decided)
+        decided = F.when(of["rule"] == rule, F.lit(verdict)).otherwise(decided)
     if model is None:
-        model = fit_urls(ruled.withColumn("_blocked", F.col("_decided") == "block"), url=url, label="_blocked")
+        model = fit_urls(told.select(column(url).alias("url"), (decided == "block").alias("blocked")))
     fitted = model
 
     def block_probability(urls: pd.Series) -> pd.Series:
         return pd.Series(fitted.block_probability(urls.fillna("").tolist()))
 
-    probability = F.pandas_udf(block_probability, "double")
-    judged = ruled.withColumn("block_probability", probability(F.col(url)))
-    by_model = F.when(F.col("block_probability") > threshold, F.lit("block")).otherwise(F.lit("allow"))
-    return judged.withColumn("verdict", F.coalesce("_decided", by_model)).drop("_decided")
+    judged = told.withColumn(probability, F.pandas_udf(block_probability, "double")(column(url)))
+    by_model = F.when(column(probability) > threshold, F.lit("block")).otherwise(F.lit("allow"))
+    return judged.select(
+        *[column(c) for c in pages.columns if c.lower() not in RESULTS],
+        *[of[c].alias(c) for c in ("host", "path", "rule")],
+        column(probability).alias("block_probability"), F.coalesce(decided, by_model).alias("verdict"),
+    )
