@@ -17,16 +17,21 @@ window whose words also start in a document of smaller id.
    are confirmed to share windows with its homes, against those homes; each hit
    is extended word by word in both directions.  Any window inside a passage holds a whole block, so
    every occurrence is located, and by the words themselves, not by hashes.
-   Shards with many documents are salted.
+   Shards with many documents are salted.  A home that repeats itself (one block
+   at many places), where each hit would have to be tried at every place, or
+   that has more distinct words than there are characters is searched by 128-bit
+   digests of its windows instead, in time linear in the document.
 
 Defined cases.  A null or empty text has no words.  ``doc_id`` identifies a
 document: rows that repeat it are taken to repeat its text.  A document without
-an id is kept whole and removes nothing.  Extra columns pass through.
+an id is kept whole and removes nothing.  Texts may be of any length and repeat
+one word throughout.  Extra columns of any name pass through.
 """
 
 from __future__ import annotations
 
 import hashlib
+from collections.abc import Iterator
 
 import ahocorasick
 import numpy as np
@@ -35,12 +40,16 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored, text_bytes
+from .common import column, dropped, free_name, parts, stored, text_bytes
 
 WINDOW, ANCHOR = 50, 16
 #: Passage words to a shard, about, and bytes of documents to one of its tasks.
 SHARD_WORDS = 150_000
 SALT_BYTES = 16 << 20
+#: Places of one block in a home from which on its windows are looked up by digests.
+MANY_PLACES = 32
+#: Distinct words that a shard has characters for.
+MOST_CODES = 1_100_000
 
 BASE = np.uint64(0xD6E8FEB86659FD93)
 SECOND = np.uint64(0xA0761D6478BD642F)
@@ -91,7 +100,7 @@ def scan(source: DataFrame, size: int) -> DataFrame:
     def run(batches):
         for batch in batches:
             rows, flat, ends = [], [], [0]
-            for raw in batch.column(1).to_pylist():
+            for raw in (raw for part in parts(batch.column(1)) for raw in part.to_pylist()):
                 words = raw.split()
                 joined = b" ".join(words)
                 copy = xxhash.xxh3_128_intdigest(joined)
@@ -159,25 +168,46 @@ def ahead(a: str, i: int, b: str, j: int) -> int:
     return have
 
 
+def window_digests(words: list[bytes], size: int) -> Iterator[int]:
+    """A 128-bit digest of each window."""
+    return (xxhash.xxh3_128_intdigest(b" ".join(words[at : at + size])) for at in range(len(words) - size + 1))
+
+
 class Phrases:
     """The automaton of one shard; a character stands for a distinct word."""
 
     def __init__(self, passages: list[tuple[int, bytes]], size: int):
         self.size, self.block = size, size // 2
         self.codes: dict[bytes, str] = {}
-        self.passages = [self._coded(raw.split()) for _, raw in passages]
-        self.backward = [text[::-1] for text in self.passages]
+        coded = [self._coded(raw.split()) for _, raw in passages]
+        many = {home for (home, _), text in zip(passages, coded) if text is None}
         places: dict[str, dict[int, list[tuple[int, int]]]] = {}
-        for k, ((home, _), text) in enumerate(zip(passages, self.passages)):
-            for at in range(0, len(text) - self.block + 1, self.block):
+        for k, ((home, _), text) in enumerate(zip(passages, coded)):
+            for at in range(0, len(text or "") - self.block + 1, self.block):
                 places.setdefault(text[at : at + self.block], {}).setdefault(home, []).append((k, at))
+        for found in places.values():
+            many |= {home for home, at in found.items() if len(at) > MANY_PLACES}
+        self.digests = {home: set() for home in many}
+        for home, raw in passages:
+            if home in many:
+                self.digests[home].update(window_digests(raw.split(), size))
+        for phrase, found in list(places.items()):
+            for home in many & found.keys():
+                del found[home]
+            if not found:
+                del places[phrase]
+        self.passages = ["" if home in many else text for (home, _), text in zip(passages, coded)]
+        self.backward = [text[::-1] for text in self.passages]
         self.automaton = ahocorasick.Automaton()
         for phrase, found in places.items():
             self.automaton.add_word(phrase, found)
+        self.passages_coded = bool(places)
         self.automaton.make_automaton()
 
-    def _coded(self, words: list[bytes]) -> str:
+    def _coded(self, words: list[bytes]) -> str | None:
         codes = self.codes
+        if len(codes) + len(words) > MOST_CODES and len(codes) + len(set(words) - codes.keys()) > MOST_CODES:
+            return None
         for w in words:
             if w not in codes:
                 n = len(codes) + 1
@@ -186,13 +216,17 @@ class Phrases:
 
     def find(self, raw: bytes, homes: list[int]) -> list[tuple[int, int]]:
         """Disjoint ranges of words of the text that passages of these homes cover."""
-        get = self.codes.get
-        text = "".join([get(w, "\0") for w in raw.split()])
+        get, words = self.codes.get, raw.split()
+        text = "".join([get(w, "\0") for w in words])
         back, n = text[::-1], len(text)
         found: list[tuple[int, int]] = []
         done: dict[tuple[int, int], int] = {}
         mine = set(homes)
-        for end, places in self.automaton.iter(text):
+        if repetitive := mine & self.digests.keys():
+            mine -= repetitive
+            known = [self.digests[home] for home in repetitive]
+            found = runs([at for at, d in enumerate(window_digests(words, self.size)) if any(d in k for k in known)], self.size)
+        for end, places in self.automaton.iter(text) if mine and self.passages_coded else ():
             begin = end - self.block + 1
             few, many = (mine, places) if len(mine) < len(places) else (places, mine)
             for home in few:
@@ -299,7 +333,8 @@ def find_repeats(source: DataFrame, size: int = WINDOW) -> tuple[DataFrame, Data
 
     # candidates: anchors of two or more distinct texts
     anchors = copies.select(F.col("first").alias("id"), F.explode("anchors").alias("anchor"))
-    recurring = anchors.groupBy("anchor").agg(F.min("id").alias("low"), F.max("id").alias("high")).filter("low < high").select("anchor")
+    spread = anchors.groupBy("anchor").agg(F.min("id").alias("low"), F.max("id").alias("high"))
+    recurring = stored(spread.filter("low < high").select("anchor"), "anchors")
     flagged = anchors.join(recurring, "anchor").groupBy("id").agg(F.collect_list("anchor").alias("anchors"))
     needed = flagged.unionByName(twins.select("id", F.array().cast("array<bigint>").alias("anchors"))).groupBy("id").agg(
         F.flatten(F.collect_list("anchors")).alias("anchors")
@@ -308,11 +343,14 @@ def find_repeats(source: DataFrame, size: int = WINDOW) -> tuple[DataFrame, Data
 
     # confirmation: windows of two or more distinct texts and their homes
     windows = anchored_windows(texts.filter(F.size("anchors") > 0), size)
-    shared = windows.groupBy("h", "h2").agg(F.min("id").alias("home"), F.max("id").alias("last")).filter("home < last").select("h", "h2", "home")
+    firsts = windows.groupBy("h", "h2").agg(F.min("id").alias("home"), F.max("id").alias("last"))
+    # tables like this one make both sides of a join plain, so that adaptive execution splits a key of very many documents
+    shared = stored(firsts.filter("home < last").select("h", "h2", "home"), "windows")
     confirmed = windows.join(shared, ["h", "h2"]).groupBy("id", "home").agg(
         F.collect_set(F.when(F.col("id") == F.col("home"), F.col("at"))).alias("places")
     )
     pairs = stored(confirmed, "confirmed")
+    dropped(shared, recurring)
     homes = pairs.filter("id = home").select("home", F.lit(False).alias("whole"), "places").unionByName(
         twins.filter("id = home").distinct().select("home", F.lit(True).alias("whole"), F.array().cast("array<int>").alias("places"))
     )
@@ -342,7 +380,7 @@ def find_repeats(source: DataFrame, size: int = WINDOW) -> tuple[DataFrame, Data
 
 
 def sources(docs: DataFrame, doc_id: str, text: str) -> DataFrame:
-    return docs.select(F.col(doc_id).cast("bigint").alias("id"), text_bytes(text).alias("raw"))
+    return docs.select(column(doc_id).cast("bigint").alias("id"), text_bytes(text).alias("raw"))
 
 
 def repeat_digests(docs: DataFrame, size: int = WINDOW, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -358,6 +396,7 @@ def repeat_digests(docs: DataFrame, size: int = WINDOW, *, doc_id: str = "doc_id
 def remove_repeats(docs: DataFrame, size: int = WINDOW, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """``docs`` without the repeated words; documents that lose every word go, untouched ones keep their texts."""
     _, covered = find_repeats(sources(docs, doc_id, text), size)
-    left = kept_texts(covered).select(F.col("id").alias("_id"), F.col("kept").alias("_kept"))
-    joined = docs.join(left, docs[doc_id] == left["_id"], "left").filter("_kept is null or _kept <> ''")
-    return joined.withColumn(text, F.coalesce("_kept", text)).select(*[F.col(c) for c in docs.columns])
+    left = kept_texts(covered).select(F.struct("id", "kept").alias(free_name(docs, "left")))
+    of = column(left.columns[0])
+    joined = docs.join(left, column(doc_id) == of["id"], "left").filter(of["kept"].isNull() | (of["kept"] != ""))
+    return joined.select(*[F.coalesce(of["kept"], column(c)).alias(c) if c == text else column(c) for c in docs.columns])
