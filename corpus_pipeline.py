@@ -13,7 +13,7 @@ from weftline.llm.common import stored, table
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the line-first rules reject go; the others keep their texts."""
-    return quality.quality(docs, results=("kept",)).filter("kept").select(*docs.columns)
+    return quality.good_documents(docs)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
