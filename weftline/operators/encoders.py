@@ -10,12 +10,16 @@ from __future__ import annotations
 
 import json
 import math
+import zlib
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .merge import summed
+from .order import exact_quantiles
+
 #: Categories up to which a state becomes an expression; beyond it, a joined table.
 INLINE_CATEGORIES = 256
 NULL_TOKENS = ("", "n/a", "na", "null", "none", "nan", "-")
@@ -59,7 +63,7 @@ def statistics(encoder: dict) -> dict[str, Column]:
     if kind == "numeric":
         for c in encoder["cols"]:
             out[f"n {c}"], out[f"v {c}"] = F.count(c), impute_value(c, encoder.get("impute", "mean"), encoder.get("constant", 0))
-            out[f"s {c}"], out[f"q {c}"] = F.sum(F.col(c).cast("double")), F.sum(F.col(c).cast("double") * F.col(c).cast("double"))
+            out[f"m {c}"], out[f"d {c}"] = F.avg(F.col(c).cast("double")), F.var_pop(F.col(c).cast("double"))
         out["rows"] = F.count(F.lit(1))
     return out
 
@@ -69,9 +73,13 @@ def fit_all(df: DataFrame, encoders: list[dict], train: str, target: str) -> dic
     rows = df.filter(train)
     merged = {f"{k}|{name}": col for k, e in enumerate(encoders) for name, col in statistics(e).items()}
     found = rows.agg(*[col.alias(name) for name, col in merged.items()]).first().asDict() if merged else {}
+    middle = sorted({c for e in encoders if e["kind"] == "numeric" and e.get("impute") == "median" for c in e["cols"]})
+    medians = exact_quantiles(rows, middle) if middle else {}
     out = {}
     for k, e in enumerate(encoders):
         mine = {name.partition("|")[2]: v for name, v in found.items() if name.startswith(f"{k}|")}
+        if e.get("impute") == "median":
+            mine |= {f"v {c}": medians[c] for c in e["cols"]}
         try:
             out[key_of(e)] = FITS[e["kind"]](rows, e, mine, target)
         except MemoryError as error:  # told to those that apply it; other users of a merged fit go on
@@ -84,10 +92,9 @@ def fit_numeric(rows: DataFrame, e: dict, found: dict, target: str) -> dict:
     for c in e["cols"]:
         n, have = found["rows"], found[f"n {c}"]
         value = float(found[f"v {c}"]) if found[f"v {c}"] is not None else 0.0
-        total = (found[f"s {c}"] or 0.0) + (n - have) * value
-        squares = (found[f"q {c}"] or 0.0) + (n - have) * value * value
-        mean = total / n if n else 0.0
-        std = math.sqrt(max(0.0, squares / n - mean * mean)) if n else 0.0
+        own, spread = found[f"m {c}"] or 0.0, found[f"d {c}"] or 0.0
+        mean = (have * own + (n - have) * value) / n if n else 0.0
+        std = math.sqrt(max(0.0, (have * (spread + (own - mean) ** 2) + (n - have) * (value - mean) ** 2) / n)) if n else 0.0
         state[c] = (value, mean if e.get("scale", True) else 0.0, (std if std > 1e-12 * (abs(mean) + 1) else 1.0) if e.get("scale", True) else 1.0)
     return state
 
@@ -121,21 +128,67 @@ def fit_target(rows: DataFrame, e: dict, found: dict, target: str) -> dict:
     return state
 
 
-def text_counts(strings: DataFrame, n: int) -> DataFrame:
+def sizes_of(e: dict) -> list[int]:
+    n = e.get("ngram", 3)
+    return [n] if isinstance(n, int) else list(range(n[0], n[1] + 1))
+
+
+def terms(text: Column, e: dict) -> Column:
+    """The n-grams of a text, of all sizes asked for: characters (padded, ``char_wb``, or not, ``char``) or words."""
+    analyzer = e.get("analyzer", "char_wb")
+    if analyzer == "word":
+        words = F.filter(F.split(F.lower(text), r"\s+"), lambda w: w != "")
+        grams = []
+        for n in sizes_of(e):
+            starts = F.sequence(F.lit(1), F.greatest(F.size(words) - (n - 1), F.lit(1)))
+            all_of = F.transform(starts, lambda i, n=n: F.array_join(F.slice(words, i, n), " "))
+            grams.append(F.when(F.size(words) >= n, all_of).otherwise(F.array().cast("array<string>")))
+    else:
+        plain = padded(text) if analyzer == "char_wb" else F.lower(text)
+        grams = [char_ngrams(plain, n) for n in sizes_of(e)]
+    out = grams[0] if len(grams) == 1 else F.concat(*grams)
+    if e.get("vectorizer") == "hash":
+        buckets = e.get("vocabulary", 1000)
+        out = F.transform(out, lambda g: (F.crc32(g.cast("binary")) % buckets).cast("string"))
+    return out
+
+
+def row_terms(text: str, e: dict) -> list[str]:
+    """The same in Python, for one text."""
+    analyzer, grams = e.get("analyzer", "char_wb"), []
+    if analyzer == "word":
+        words = text.lower().split()
+        for n in sizes_of(e):
+            grams += [" ".join(words[k : k + n]) for k in range(len(words) - n + 1)]
+    else:
+        plain = f" {' '.join(text.lower().split())} " if analyzer == "char_wb" else text.lower()
+        for n in sizes_of(e):
+            grams += [plain[k : k + n] for k in range(len(plain) - n + 1)]
+    if e.get("vectorizer") == "hash":
+        grams = [str(zlib.crc32(g.encode()) % e.get("vocabulary", 1000)) for g in grams]
+    return grams
+
+
+def text_counts(strings: DataFrame, e: dict | int) -> DataFrame:
     """(v, w, gram, tf) for distinct strings v of weight w."""
-    return strings.select("v", "w", F.explode(char_ngrams(padded(F.col("v")), n)).alias("gram")).groupBy("v", "w", "gram").agg(F.count("*").alias("tf"))
+    e = {"ngram": e} if isinstance(e, int) else e
+    return strings.select("v", "w", F.explode(terms(F.col("v"), e)).alias("gram")).groupBy("v", "w", "gram").agg(F.count("*").alias("tf"))
 
 
 def fit_text(rows: DataFrame, e: dict, found: dict, target: str) -> dict:
-    """Latent components of n-gram tf-idf: distinct strings only, weighted by their frequency."""
+    """Latent components of n-gram tf-idf: distinct strings only, weighted by their frequency.
+
+    The vocabulary holds the ``vocabulary`` terms of most documents, as its Gram
+    matrix must fit the driver; with ``vectorizer`` hash every term counts, in that many buckets.
+    """
     state = {}
     for c in e["cols"]:
         strings = rows.select(F.col(c).alias("v")).filter("v is not null").groupBy("v").agg(F.count("*").alias("w"))
         total = strings.agg(F.sum("w")).first()[0] or 0
-        counts = text_counts(strings, e.get("ngram", 3))
+        counts = text_counts(strings, e)
         vocabulary = counts.groupBy("gram").agg(F.sum("w").alias("df")).orderBy(F.desc("df"), "gram").limit(e.get("vocabulary", 1000)).collect()
         idf = {r["gram"]: math.log((1 + total) / (1 + r["df"])) + 1 for r in vocabulary}
-        gram = weighted_gram(strings, idf, e.get("ngram", 3))
+        gram = weighted_gram(strings, idf, e)
         values, vectors = np.linalg.eigh(gram) if len(gram) else (np.empty(0), np.empty((0, 0)))
         order = np.argsort(-values, kind="stable")[: e["n_components"]]
         v = vectors[:, order]
@@ -145,23 +198,22 @@ def fit_text(rows: DataFrame, e: dict, found: dict, target: str) -> dict:
     return state
 
 
-def tfidf(texts: list[str | None], idf: dict[str, float], n: int) -> np.ndarray:
+def tfidf(texts: list[str | None], idf: dict[str, float], e: dict) -> np.ndarray:
     at = {g: k for k, g in enumerate(idf)}
     weight = np.array(list(idf.values()))
     out = np.zeros((len(texts), len(idf)))
     for i, t in enumerate(texts):
         if t is not None:
-            p = f" {' '.join(t.lower().split())} "
-            for k in range(len(p) - n + 1):
-                j = at.get(p[k : k + n])
+            for g in row_terms(t, e):
+                j = at.get(g)
                 if j is not None:
                     out[i, j] += weight[j]
     norm = np.linalg.norm(out, axis=1, keepdims=True)
     return out / np.where(norm > 0, norm, 1)
 
 
-def weighted_gram(strings: DataFrame, idf: dict[str, float], n: int) -> np.ndarray:
-    """Sum of w xᵀx over distinct strings; partial sums in tasks, added on the driver."""
+def weighted_gram(strings: DataFrame, idf: dict[str, float], e: dict) -> np.ndarray:
+    """Sum of w xᵀx over distinct strings by partial sums, merged in parallel."""
     p = len(idf)
 
     def run(batches):
@@ -169,15 +221,11 @@ def weighted_gram(strings: DataFrame, idf: dict[str, float], n: int) -> np.ndarr
         for pdf in batches:
             for begin in range(0, len(pdf), 2048):
                 part = pdf.iloc[begin : begin + 2048]
-                x = tfidf(part["v"].tolist(), idf, n)
+                x = tfidf(part["v"].tolist(), idf, e)
                 total += (x * part["w"].to_numpy()[:, None]).T @ x
-        yield pd.DataFrame({"g": [total.tobytes()]})
+        yield pd.DataFrame({"b": [0], "m": [total.tobytes()]})
 
-    parts = strings.coalesce(32).mapInPandas(run, "g binary").toLocalIterator()
-    out = np.zeros((p, p))
-    for r in parts:
-        out += np.frombuffer(r["g"]).reshape(p, p)
-    return out
+    return summed(strings.mapInPandas(run, "b int, m binary")).get(0, np.zeros(p * p)).reshape(p, p)
 
 
 def fit_none(rows: DataFrame, e: dict, found: dict, target: str) -> dict:
@@ -244,10 +292,10 @@ def with_target(df: DataFrame, c: str, e: dict, state: dict, train: str) -> tupl
 
 def with_components(df: DataFrame, c: str, e: dict, state: dict) -> tuple[DataFrame, Column]:
     """Distinct strings are projected once and joined back."""
-    idf, v, n = state["idf"], state["v"], e.get("ngram", 3)
+    idf, v = state["idf"], state["v"]
 
     def project(texts: pd.Series) -> pd.Series:
-        return pd.Series(list(tfidf(texts.tolist(), idf, n) @ v))
+        return pd.Series(list(tfidf(texts.tolist(), idf, e) @ v))
 
     strings = df.select(F.col(c).alias(f"_t_{c}")).filter(F.col(f"_t_{c}").isNotNull()).distinct()
     table = strings.withColumn(f"_x_{c}", F.pandas_udf(project, "array<double>")(f"_t_{c}"))
@@ -264,3 +312,144 @@ def route(df: DataFrame, columns: list[str], threshold: int = 40, n_components:
     low, high = [c for c in text if distinct[c] <= threshold], [c for c in text if distinct[c] > threshold]
     parts = [("numeric", numeric, {}), ("onehot", low, {}), ("text", high, {"n_components": n_components}), ("dates", dates, {})]
     return [{"kind": k, "cols": cols} | more for k, cols, more in parts if cols]
+
+
+#: Categories whose sums an interpreted apply holds in every worker.
+ROW_CATEGORIES = 100_000
+
+
+def apply_rows(df: DataFrame, encoders: list[dict], states: dict[str, dict], carry: list[str], train: str) -> tuple[DataFrame, list[str]]:
+    """The interpreted form of ``apply_all``: one Python call a row computes every feature from the raw values."""
+    steps, names, inputs = [], [], []
+
+    def need(column: str) -> int:
+        if column not in inputs:
+            inputs.append(column)
+        return inputs.index(column)
+
+    for e in encoders:
+        state = states[key_of(e)]
+        if "error" in state:
+            raise state["error"]
+        for c in e["cols"]:
+            at = need(c)
+            if e["kind"] == "numeric":
+                value, mean, std = state[c]
+                steps.append(lambda r, at=at, value=value, mean=mean, std=std: [((value if r[at] is None else float(r[at])) - mean) / std])
+                names.append(f"f_{c}")
+                if e.get("indicator"):
+                    steps.append(lambda r, at=at: [float(r[at] is None)])
+                    names.append(f"f_{c}_missing")
+            elif e["kind"] == "onehot":
+                kept, rare = state[c]
+                kept = kept[1:] if e.get("drop_first", True) else kept
+                steps.append(lambda r, at=at, kept=kept, rare=rare: row_onehot(r[at], kept, rare))
+                names += [f"f_{c}_{k}" for k in range(len(kept))] + ([f"f_{c}_rare"] if rare else [])
+            elif e["kind"] == "dates":
+                steps.append(lambda r, at=at: row_dates(r[at]))
+                names += [f"f_{c}_{k}" for k in date_parts(c)]
+            elif e["kind"] == "target":
+                fold = need(e["fold"]) if e.get("fold") else None
+                found = state[c]["sums"].limit(ROW_CATEGORIES + 1).collect()
+                if len(found) > ROW_CATEGORIES:
+                    raise MemoryError(f"{c} has too many categories for a worker's table")
+                sums = {(x["v"], x["fold"] if fold is not None else None): (x["s"] or 0.0, x["n"]) for x in found}
+                whole: dict = {}
+                for (v, _), (total, n) in sums.items():
+                    a, b = whole.get(v, (0.0, 0))
+                    whole[v] = (a + total, b + n)
+                more = (float(e.get("smoothing", 10.0)), state[c]["total"], state[c]["folds"])
+                steps.append(lambda r, at=at, fold=fold, sums=sums, whole=whole, more=more: [row_target(r[at], None if fold is None else r[fold], r[-1], sums, whole, *more)])
+                names.append(f"f_{c}_mean")
+            elif e["kind"] == "text":
+                idf, v = state[c]["idf"], state[c]["v"]
+                steps.append(lambda r, at=at, idf=idf, v=v, e=e: (tfidf([r[at]], idf, e) @ v)[0].tolist())
+                names += [f"f_{c}_{k}" for k in range(v.shape[1])]
+
+    def features(*row):
+        out = []
+        for step in steps:
+            out += step(row)
+        return out
+
+    told = [F.coalesce(F.expr(train), F.lit(False))]
+    made = df.withColumn("_x", F.udf(features, "array<double>")(*[F.col(c) for c in inputs], *told))
+    return made.select(*carry, *[F.col("_x")[k].alias(n) for k, n in enumerate(names)]), names
+
+
+def row_onehot(value: object, kept: list[str], rare: list[str]) -> list[float]:
+    text = None if value is None else str(value).strip(" ")
+    if text is not None and text.lower() in NULL_TOKENS:
+        text = None
+    return [float(text == v) for v in kept] + ([float(text in rare)] if rare else [])
+
+
+def row_dates(value) -> list[float | None]:
+    if value is None:
+        return [None] * 5
+    day = value.date() if hasattr(value, "date") else value
+    return [float(x) for x in (day.year, day.month, day.day, day.isoweekday() % 7 + 1, day.toordinal() - 719_163)]
+
+
+def row_target(value, fold, in_train: bool, sums: dict, whole: dict, m: float, total: tuple, folds: dict) -> float:
+    s, n = whole.get(None if value is None else str(value), (0.0, 0))
+    mean = total[0] / total[1] if total[1] else 0.0
+    if in_train and folds:
+        fs, fn = folds.get(fold, (0.0, 0))
+        own_s, own_n = sums.get((None if value is None else str(value), fold), (0.0, 0))
+        s, n = s - own_s, n - own_n
+        if fold in folds:
+            mean = (total[0] - fs) / (total[1] - fn) if total[1] > fn else mean
+    if m:
+        return (s + m * mean) / (n + m)
+    return s / n if n else mean
+
+
+def table_report(df: DataFrame, drop_null_fraction: float = 1.0, id_share: float = 0.95) -> dict[str, str]:
+    """What to do with each column, from one aggregate: keep, drop (empty, constant or an identifier) or cast.
+
+    An identifier is a text column with about as many distinct values as rows;
+    a text column whose values are all numbers is to be cast.
+    """
+    aggs = [F.count(F.lit(1)).alias("rows")]
+    kinds = dict(df.dtypes)
+    flat = [c for c in df.columns if not kinds[c].startswith(("array", "map", "struct"))]
+    for k, c in enumerate(flat):
+        v = cleaned(F.col(f"`{c}`")) if kinds[c] == "string" else F.col(f"`{c}`")
+        aggs += [F.count(v).alias(f"n{k}"), F.approx_count_distinct(v, 0.02).alias(f"d{k}"), F.min(v).eqNullSafe(F.max(v)).alias(f"c{k}")]
+        if kinds[c] == "string":
+            aggs.append(F.count_if(v.isNotNull() & F.expr(f"try_cast(trim(`{c}`) AS DOUBLE)").isNull()).alias(f"t{k}"))
+    found = df.agg(*aggs).first().asDict()
+    out, rows = {c: "keep" for c in df.columns}, found["rows"]
+    for k, c in enumerate(flat):
+        if rows and rows - found[f"n{k}"] >= drop_null_fraction * rows:
+            out[c] = "drop: empty"
+        elif rows and found[f"c{k}"] and found[f"n{k}"] == rows:
+            out[c] = "drop: constant"
+        elif kinds[c] == "string" and found[f"t{k}"] == 0 and found[f"n{k}"]:
+            out[c] = "cast: double"
+        elif kinds[c] == "string" and rows > 20 and found[f"d{k}"] >= id_share * rows:
+            out[c] = "drop: identifier"
+    return out
+
+
+def clean_table(df: DataFrame, report: dict[str, str] | None = None, keep: tuple[str, ...] = ()) -> DataFrame:
+    """Columns as the report has them; texts trimmed, null-like ones null."""
+    report, kinds, out = report or table_report(df), dict(df.dtypes), []
+    for c in df.columns:
+        told = "keep" if c in keep else report[c]
+        if told.startswith("drop"):
+            continue
+        v = cleaned(F.col(f"`{c}`")) if kinds[c] == "string" else F.col(f"`{c}`")
+        out.append((F.expr(f"try_cast(trim(`{c}`) AS DOUBLE)") if told.startswith("cast") else v).alias(c))
+    return df.select(*out)
+
+
+def onehot_sparse(df: DataFrame, column: str, out: str) -> DataFrame:
+    """One-hot as a sparse vector, for more categories than columns are made of; unseen and missing ones have no entry."""
+    from pyspark.ml.feature import OneHotEncoder, StringIndexer
+
+    text = df.withColumn(f"{out}_text", cleaned(F.col(column).cast("string")))
+    indexed = StringIndexer(inputCol=f"{out}_text", outputCol=f"{out}_index", handleInvalid="keep", stringOrderType="alphabetAsc").fit(text).transform(text)
+    encoder = OneHotEncoder(inputCols=[f"{out}_index"], outputCols=[out], dropLast=True, handleInvalid="keep").fit(indexed)
+    return encoder.transform(indexed).drop(f"{out}_text", f"{out}_index")

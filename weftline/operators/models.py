@@ -10,53 +10,88 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .merge import merged, summed
+from .order import auc  # noqa: F401  a measure like the others here
+
 #: Columns up to which moments are aggregate expressions rather than Arrow partial sums.
 EXPRESSION_COLUMNS = 8
 MOST_COLUMNS = 1_000
 
 
-def moments(df: DataFrame, features: list[str], target: str, by: str | None = None) -> dict:
-    """Sums of products of (1, features, target), per value of ``by``: one pass for any grid."""
-    z = ["1", *[f"`{c}`" for c in features], f"`{target}`"]
-    p = len(z)
-    if p > MOST_COLUMNS:
-        raise MemoryError(f"{p} columns make too large a matrix of moments")
+def moments(df: DataFrame, features: list[str], target: str, by: str | None = None, kernel: str | None = None) -> dict:
+    """Sums of products of (1, features, target), per value of ``by``: one pass for any grid.
+
+    ``kernel`` is expressions, blocks or rows; by default expressions for few
+    columns.  Products are of differences to a pivot, a row's values, so that they
+    don't cancel at large numbers of rows; sums of the columns themselves follow.
+    """
+    columns = [*features, target]
+    if len(columns) + 1 > MOST_COLUMNS:
+        raise MemoryError(f"{len(columns) + 1} columns make too large a matrix of moments")
     group = F.coalesce(F.col(by), F.lit(-1)).cast("int") if by else F.lit(0)
-    if p <= EXPRESSION_COLUMNS:
-        pairs = [(i, j) for i in range(p) for j in range(i, p)]
-        sums = [F.sum(F.expr(f"CAST({z[i]} AS DOUBLE) * CAST({z[j]} AS DOUBLE)")).alias(f"m{i}_{j}") for i, j in pairs]
-        out = {}
-        for r in df.groupBy(group.alias("_by")).agg(*sums).collect():
-            m = np.zeros((p, p))
-            for i, j in pairs:
-                m[i, j] = m[j, i] = r[f"m{i}_{j}"] or 0.0
-            out[r["_by"]] = m
-        return out
-    wide = df.select(group.alias("_by"), *[F.col(c).cast("double").alias(c) for c in (*features, target)])
+    wide = df.select(group.alias("_by"), *[F.col(f"`{c}`").cast("double").alias(f"x{k}") for k, c in enumerate(columns)])
+    first = wide.drop("_by").na.drop().first()
+    pivot = np.array(first if first is not None else [0.0] * len(columns), float)
+    kernel = kernel or ("expressions" if len(columns) + 1 <= EXPRESSION_COLUMNS else "blocks")
+    found = {"expressions": moments_by_expressions, "blocks": moments_by_blocks, "rows": moments_by_rows}[kernel](wide, pivot)
+    return {b: unpivoted(m, pivot) for b, m in found.items()}
+
+
+def unpivoted(m: np.ndarray, pivot: np.ndarray) -> np.ndarray:
+    """Moments of z from those of (1, z - pivot)."""
+    shift = np.eye(len(m))
+    shift[1:, 0] = pivot
+    return shift @ m @ shift.T
+
+
+def moments_by_expressions(wide: DataFrame, pivot: np.ndarray) -> dict:
+    """One aggregate of products, inside generated code."""
+    z = [F.lit(1.0), *[F.col(c) - F.lit(float(v)) for c, v in zip(wide.columns[1:], pivot)]]
+    pairs = [(i, j) for i in range(len(z)) for j in range(i, len(z))]
+    out = {}
+    for r in wide.groupBy("_by").agg(*[F.sum(z[i] * z[j]).alias(f"m{i}_{j}") for i, j in pairs]).collect():
+        m = np.zeros((len(z), len(z)))
+        for i, j in pairs:
+            m[i, j] = m[j, i] = r[f"m{i}_{j}"] or 0.0
+        out[r["_by"]] = m
+    return out
+
+
+def moments_by_blocks(wide: DataFrame, pivot: np.ndarray) -> dict:
+    """Products of whole Arrow batches, merged in parallel."""
+    names = wide.columns[1:]
 
     def partial(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         sums: dict[int, np.ndarray] = {}
         for pdf in batches:
             of = pdf["_by"].to_numpy()
-            x = np.column_stack([np.ones(len(pdf)), pdf[[*features, target]].to_numpy()])
+            x = np.column_stack([np.ones(len(pdf)), pdf[names].to_numpy() - pivot])
             for b in np.unique(of):
                 mine = x[of == b]
                 sums[int(b)] = sums.get(int(b), 0) + mine.T @ mine
         yield pd.DataFrame({"b": list(sums), "m": [m.tobytes() for m in sums.values()]})
 
-    def merge(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        sums: dict[int, np.ndarray] = {}
+    return {b: m.reshape(len(names) + 1, -1) for b, m in summed(wide.mapInPandas(partial, "b int, m binary")).items()}
+
+
+def moments_by_rows(wide: DataFrame, pivot: np.ndarray) -> dict:
+    """The interpreted kernel: the products of each row in Python, one row at a time."""
+    p = len(wide.columns)
+
+    def partial(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        sums: dict[int, list[list[float]]] = {}
+        at = [0.0, *pivot.tolist()]
         for pdf in batches:
-            for b, m in zip(pdf["b"], pdf["m"]):
-                sums[b] = sums.get(b, 0) + np.frombuffer(m)
-        yield pd.DataFrame({"b": list(sums), "m": [m.tobytes() for m in sums.values()]})
+            for row in pdf.itertuples(index=False):
+                z = [1.0, *[v - m for v, m in zip(row[1:], at[1:])]]
+                m = sums.setdefault(row[0], [[0.0] * p for _ in range(p)])
+                for i, a in enumerate(z):
+                    mine = m[i]
+                    for j, b in enumerate(z):
+                        mine[j] += a * b
+        yield pd.DataFrame({"b": list(sums), "m": [np.array(m).tobytes() for m in sums.values()]})
 
-    parts = wide.mapInPandas(partial, "b int, m binary")
-    several = max(1, int(wide.rdd.getNumPartitions() ** 0.5))
-    out = {}
-    for r in (parts.repartition(several).mapInPandas(merge, "b int, m binary") if several > 1 else parts).collect():
-        out[r["b"]] = out.get(r["b"], 0) + np.frombuffer(r["m"]).reshape(p, p)
-    return out
+    return {b: m.reshape(p, p) for b, m in summed(wide.mapInPandas(partial, "b int, m binary")).items()}
 
 
 def centred(m: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, float, float]:
@@ -128,7 +163,7 @@ def bin_edges(df: DataFrame, features: list[str], bins: int) -> list[list[float]
     return [sorted(set(map(float, e or []))) for e in found]
 
 
-def binned(df: DataFrame, features: list[str], edges: list[list[float]], keep: list[str]) -> DataFrame:
+def binned(df: DataFrame, features: list[str], edges: list[list[float]], keep: list) -> DataFrame:
     """Features as bin numbers; 0 holds missing values."""
 
     def one(c: str, e: list[float]) -> Column:
@@ -140,27 +175,15 @@ def binned(df: DataFrame, features: list[str], edges: list[list[float]], keep: l
     return df.select(*keep, *[one(c, e).alias(f"b{i}") for i, (c, e) in enumerate(zip(features, edges))])
 
 
-def tree_values(tree: list[tuple], bins: np.ndarray) -> np.ndarray:
-    """Values by tree; nodes are (feature, bin, left, right, value), feature -1 at leaves."""
-    at = np.zeros(len(bins), int)
-    feature, cut, left, right, value = (np.array(c) for c in zip(*tree))
-    while (inner := feature[at] >= 0).any():
-        goes = bins[np.arange(len(bins)), np.maximum(feature[at], 0)] <= cut[at]
-        at = np.where(inner, np.where(goes, left[at], right[at]), at)
-    return value[at] if len(value) else np.zeros(len(bins))
-
+#: Trees after which every row's margin is kept as a column.
+MARGIN_TREES = 4
 
-def leaf_of(tree: list[tuple], bins: np.ndarray) -> np.ndarray:
-    at = np.zeros(len(bins), int)
-    feature, cut, left, right, _ = (np.array(c) for c in zip(*tree))
-    while (inner := feature[at] >= 0).any():
-        goes = bins[np.arange(len(bins)), np.maximum(feature[at], 0)] <= cut[at]
-        at = np.where(inner, np.where(goes, left[at], right[at]), at)
-    return at
 
+def histograms(df: DataFrame, n_features: int, width: int, trees: list, growing: list[tuple], nodes: list[int], target: str) -> dict[int, np.ndarray]:
+    """Per frontier node sums of gradient and rows by (feature, bin): one pass over the bins.
 
-def histograms(df: DataFrame, n_features: int, width: int, base: float, trees: list, growing: list[tuple], nodes: list[int], target: str) -> dict[int, np.ndarray]:
-    """Per frontier node sums of gradient and rows by (feature, bin): one pass over the bins."""
+    ``trees`` are those since the margin was last kept.
+    """
     names = [f"b{i}" for i in range(n_features)]
     slot = {n: k for k, n in enumerate(nodes)}
 
@@ -168,7 +191,7 @@ def histograms(df: DataFrame, n_features: int, width: int, base: float, trees: l
         out = np.zeros((len(nodes), n_features, width, 2))
         for pdf in batches:
             bins = pdf[names].to_numpy()
-            g = np.full(len(bins), base) - pdf[target].to_numpy(float)
+            g = pdf["margin"].to_numpy(float) - pdf[target].to_numpy(float)
             for t in trees:
                 g += tree_values(t, bins)
             leaf = leaf_of(growing, bins)
@@ -178,16 +201,24 @@ def histograms(df: DataFrame, n_features: int, width: int, base: float, trees: l
                     for f in range(n_features):
                         out[k, f, :, 0] += np.bincount(bins[mine, f], g[mine], width)
                         out[k, f, :, 1] += np.bincount(bins[mine, f], minlength=width)
-        yield pd.DataFrame({"h": [out.tobytes()]})
+        yield pd.DataFrame({"b": [0], "m": [out.tobytes()]})
 
-    total = np.zeros((len(nodes), n_features, width, 2))
-    for r in df.mapInPandas(partial, "h binary").toLocalIterator():
-        total += np.frombuffer(r["h"]).reshape(total.shape)
-    return {n: total[k] for n, k in slot.items()}
+    total = summed(df.mapInPandas(partial, "b int, m binary")).get(0, np.zeros(len(nodes) * n_features * width * 2))
+    return dict(zip(nodes, total.reshape(len(nodes), n_features, width, 2)))
 
 
-def best_split(h: np.ndarray, lam: float, min_rows: int = 1) -> tuple[float, int, int]:
-    """(gain, feature, bin): ties go to the lowest feature, then the lowest bin."""
+def best_split(h: np.ndarray, lam: float, min_rows: int = 1, missing: bool = False) -> tuple:
+    """(gain, feature, bin): ties go to the lowest feature, then the lowest bin.
+
+    With ``missing``, bin 0 holds rows without a value and the fourth part says
+    whether they go left; both ways are tried, left first.
+    """
+    if missing:
+        ways = [best_split(h, lam, min_rows), best_split(np.concatenate([h[:, 1:], h[:, :1]], 1), lam, min_rows)]
+        if round(ways[1][0], 6) > round(ways[0][0], 6):
+            gain, f, b = ways[1]
+            return gain, f, b + 1, False
+        return *ways[0], True
     g, n = h[0, :, 0].sum(), h[0, :, 1].sum()
     left = np.cumsum(h, axis=1)
     lg, ln = left[:, :-1, 0], left[:, :-1, 1]
@@ -197,52 +228,132 @@ def best_split(h: np.ndarray, lam: float, min_rows: int = 1) -> tuple[float, int
     return float(gain.flat[at]), at // gain.shape[1], at % gain.shape[1]
 
 
+def goes_left(column: Column, b: int, missing_left: bool) -> Column:
+    """Whether a binned column's row goes left of a split."""
+    return (column <= b) if missing_left else (column <= b) & (column > 0)
+
+
 def boost(df: DataFrame, features: list[str], target: str, *, growth: str = "level", trees: int = 8, depth: int = 3, leaves: int = 8, eta: float = 0.3, lam: float = 1.0, gamma: float = 0.0, bins: int = 16) -> dict:
     """Squared-loss boosting on histograms, growing by level or by best leaf.
 
     By leaf only the smaller child is scanned; its sibling is the difference.
+    Rows carry the margin of earlier trees, brought up to date every few trees.
     """
     edges = bin_edges(df, features, bins)
-    data = binned(df, features, edges, [target]).persist()
+    p, width = len(features), bins + 1
+    own = binned(df, features, edges, [F.col(f"`{target}`").cast("double").alias("y")])
+    base = float(df.agg(F.avg(target)).first()[0] or 0.0)
+    data = own.withColumn("margin", F.lit(base)).persist()
     try:
-        base = float(data.agg(F.avg(target)).first()[0] or 0.0)
         grown: list[list[tuple]] = []
-        p, width = len(features), bins + 1
+        recent: list[list[tuple]] = []
         for _ in range(trees):
-            tree: list[tuple] = [(-1, 0, 0, 0, 0.0)]
-            h = histograms(data, p, width, base, grown, tree, [0], target)
+            if len(recent) == MARGIN_TREES:
+                before, margin = data, F.col("margin")
+                for t in recent:
+                    margin = margin + binned_case(t, 0)
+                data, recent = before.withColumn("margin", margin).persist(), []
+                data.count()
+                before.unpersist()
+            tree: list[tuple] = [(-1, 0, 0, 0, 0.0, True)]
+            h = histograms(data, p, width, recent, tree, [0], "y")
             value = lambda x: float(-eta * x[0, :, 0].sum() / (x[0, :, 1].sum() + lam))
-            frontier = [(-best_split(h[0], lam)[0], 0, h[0])]
+            frontier = [(-best_split(h[0], lam, missing=True)[0], 0, h[0])]
             n_leaves, level = 1, 0
             while frontier and (level < depth if growth == "level" else n_leaves < leaves):
                 take = frontier if growth == "level" else [heapq.heappop(frontier)]
                 rest = [] if growth == "level" else frontier
                 split = []
                 for _, node, hist in sorted(take, key=lambda x: x[1]):
-                    gain, f, b = best_split(hist, lam)
+                    gain, f, b, missing_left = best_split(hist, lam, missing=True)
                     if gain <= gamma or not np.isfinite(gain):
-                        tree[node] = (-1, 0, 0, 0, value(hist))
+                        tree[node] = (-1, 0, 0, 0, value(hist), True)
                         continue
                     low, high = len(tree), len(tree) + 1
-                    tree += [(-1, 0, 0, 0, 0.0)] * 2
-                    tree[node] = (f, b, low, high, 0.0)
-                    n_low, n_high = hist[f, : b + 1, 1].sum(), hist[f, b + 1 :, 1].sum()
-                    split.append((hist, low, high) if n_low <= n_high else (hist, high, low))
+                    tree += [(-1, 0, 0, 0, 0.0, True)] * 2
+                    tree[node] = (f, b, low, high, 0.0, missing_left)
+                    n_low = hist[f, (0 if missing_left else 1) : b + 1, 1].sum()
+                    split.append((hist, low, high) if 2 * n_low <= hist[f, :, 1].sum() else (hist, high, low))
                     n_leaves += 1
-                small = histograms(data, p, width, base, grown, tree, [s[1] for s in split], target) if split else {}
+                small = histograms(data, p, width, recent, tree, [s[1] for s in split], "y") if split else {}
                 frontier = rest
                 for hist, scanned, other in split:
                     for node, got in ((scanned, small[scanned]), (other, hist - small[scanned])):
-                        heapq.heappush(frontier, (-best_split(got, lam)[0], node, got))
+                        heapq.heappush(frontier, (-best_split(got, lam, missing=True)[0], node, got))
                 level += 1
             for _, node, hist in frontier:
-                tree[node] = (-1, 0, 0, 0, value(hist))
+                tree[node] = (-1, 0, 0, 0, value(hist), True)
             grown.append(tree)
+            recent.append(tree)
         return {"kind": "trees", "base": base, "edges": edges, "trees": grown}
     finally:
         data.unpersist()
 
 
+def binned_case(tree: list[tuple], at: int) -> Column:
+    """A tree over binned columns."""
+    f, b, left, right, value, missing_left = tree[at]
+    if f < 0:
+        return F.lit(value)
+    return F.when(goes_left(F.col(f"b{f}"), b, missing_left), binned_case(tree, left)).otherwise(binned_case(tree, right))
+
+
+def mllib_boost(df: DataFrame, features: list[str], target: str, *, trees: int = 8, depth: int = 3, eta: float = 0.3, bins: int = 16, leaves: int = 8, **_: object) -> dict:
+    """The JVM library's boosted trees; its fitted model is used as it is, not converted."""
+    from pyspark.ml.feature import VectorAssembler
+    from pyspark.ml.regression import GBTRegressor
+
+    rows = VectorAssembler(inputCols=features, outputCol="_x").transform(df.select(*features, F.col(target).cast("double").alias("_y")))
+    most = depth if leaves >= 2**depth else max(1, leaves.bit_length() - 1)
+    model = GBTRegressor(featuresCol="_x", labelCol="_y", maxIter=trees, maxDepth=most, stepSize=eta, maxBins=max(bins, 8), seed=1).fit(rows)
+    return {"kind": "mllib", "model": model, "features": features}
+
+
+def mllib_linear(df: DataFrame, features: list[str], target: str, alpha: float, rho: float | None = None) -> dict:
+    """The JVM library's linear regression, brought to the same loss as the moments' solvers.
+
+    ``rho`` None is ridge with alpha on the sum of squares, else an elastic net on the mean.
+    Its penalty on squares is scaled by the target's deviation, that on absolute values is not.
+    """
+    from pyspark.ml.feature import VectorAssembler
+    from pyspark.ml.regression import LinearRegression
+
+    rows = VectorAssembler(inputCols=features, outputCol="_x").transform(df.select(*features, F.col(target).cast("double").alias("_y")))
+    n, sd = rows.agg(F.count(F.lit(1)), F.stddev_samp("_y")).first()
+    sd = sd or 1.0
+    l1, l2 = (0.0, alpha / n * sd) if rho is None else (alpha * rho, alpha * (1 - rho) * sd)
+    share = l1 / (l1 + l2) if l1 + l2 else 0.0
+    model = LinearRegression(featuresCol="_x", labelCol="_y", standardization=False, regParam=l1 + l2, elasticNetParam=share, tol=1e-10, maxIter=500, solver="normal" if not l1 else "auto").fit(rows)
+    return {"kind": "linear", "w": list(map(float, model.coefficients)), "b": float(model.intercept)}
+
+
+def predicted(df: DataFrame, model: dict, features: list[str], out: str = "prediction") -> DataFrame:
+    """``df`` with the predictions of a model of any kind."""
+    if model["kind"] == "mllib":
+        from pyspark.ml.feature import VectorAssembler
+
+        wide = VectorAssembler(inputCols=features, outputCol="_x").transform(df)
+        return model["model"].transform(wide).withColumnRenamed("prediction", out).drop("_x")
+    if model["kind"] == "perceptron":
+        return df.withColumn(out, perceptron_column(model, features))
+    return df.withColumn(out, prediction(model, features))
+
+
+def tree_values(tree: list[tuple], bins: np.ndarray) -> np.ndarray:
+    """Values by tree; nodes are (feature, bin, left, right, value, missing goes left), feature -1 at leaves."""
+    return np.array([n[4] for n in tree])[leaf_of(tree, bins)]
+
+
+def leaf_of(tree: list[tuple], bins: np.ndarray) -> np.ndarray:
+    at = np.zeros(len(bins), int)
+    feature, cut, left, right, _, missing_left = (np.array(c) for c in zip(*tree))
+    while (inner := feature[at] >= 0).any():
+        b = bins[np.arange(len(bins)), np.maximum(feature[at], 0)]
+        goes = (b <= cut[at]) & ((b > 0) | missing_left[at])
+        at = np.where(inner, np.where(goes, left[at], right[at]), at)
+    return at
+
+
 def prediction(model: dict, features: list[str]) -> Column:
     """A model as one expression: a sum of products, or nested cases of trees."""
     if model["kind"] in ("linear", "logistic"):
@@ -254,16 +365,12 @@ def prediction(model: dict, features: list[str]) -> Column:
         return F.lit(model["value"])
 
     def case(tree: list[tuple], at: int) -> Column:
-        f, b, left, right, value = tree[at]
+        f, b, left, right, value, missing_left = tree[at]
         if f < 0:
             return F.lit(value)
         edges, c = model["edges"][f], F.col(features[f])
-        if b == 0:
-            goes = c.isNull()
-        elif b > len(edges):
-            goes = F.lit(True)
-        else:
-            goes = c.isNull() | (c <= edges[b - 1])
+        under = F.lit(False) if b == 0 else F.lit(True) if b > len(edges) else c <= edges[b - 1]
+        goes = F.when(c.isNull(), F.lit(missing_left)).otherwise(under)
         return F.when(goes, case(tree, left)).otherwise(case(tree, right))
 
     out = F.lit(model["base"])
@@ -292,17 +399,6 @@ def class_measures(target: str, probability: str) -> dict[str, Column]:
     }
 
 
-def auc(df: DataFrame, target: str, score: str) -> DataFrame:
-    """Area under the curve from counts by distinct score; ties count half."""
-    from pyspark.sql import Window
-
-    by = df.groupBy(F.col(score).alias("s")).agg(F.sum(target).cast("double").alias("pos"), F.sum(1 - F.col(target)).cast("double").alias("neg"))
-    below = F.sum("neg").over(Window.orderBy("s").rowsBetween(Window.unboundedPreceding, -1))
-    return by.withColumn("below", F.coalesce(below, F.lit(0.0))).agg(
-        (F.sum(F.col("pos") * (F.col("below") + F.col("neg") / 2)) / (F.sum("pos") * F.sum("neg"))).alias("auc")
-    )
-
-
 def ensemble_weights(m: np.ndarray, how: str = "mean", rounds: int = 20) -> np.ndarray:
     """Weights of members from the moments of (1, predictions, target)."""
     k = len(m) - 2
@@ -322,7 +418,7 @@ def ensemble_weights(m: np.ndarray, how: str = "mean", rounds: int = 20) -> np.n
 
 
 def gram(df: DataFrame, column: str) -> np.ndarray:
-    """XᵀX of an array column by partial sums."""
+    """XᵀX of an array column by partial sums, merged in parallel."""
 
     def partial(batches):
         total = 0
@@ -330,13 +426,10 @@ def gram(df: DataFrame, column: str) -> np.ndarray:
             x = np.stack(pdf[column].to_numpy()).astype(float) if len(pdf) else np.zeros((0, 1))
             total = total + x.T @ x
         if not np.isscalar(total):
-            yield pd.DataFrame({"g": [total.tobytes()]})
+            yield pd.DataFrame({"b": [0], "m": [total.tobytes()]})
 
-    out = 0
-    for r in df.select(column).mapInPandas(partial, "g binary").toLocalIterator():
-        g = np.frombuffer(r["g"])
-        out = out + g.reshape(int(len(g) ** 0.5), -1)
-    return np.atleast_2d(out)
+    g = summed(df.select(column).mapInPandas(partial, "b int, m binary")).get(0, np.zeros(1))
+    return g.reshape(int(len(g) ** 0.5), -1)
 
 
 def shrink(rows: np.ndarray, size: int) -> np.ndarray:
@@ -361,15 +454,26 @@ def frequent_directions(df: DataFrame, column: str, size: int) -> np.ndarray:
         if b is not None:
             yield pd.DataFrame({"n": [b.shape[1]], "b": [b.tobytes()]})
 
+    def fold(batches):
+        out, n = None, 0
+        for pdf in batches:
+            for n, raw in zip(pdf["n"], pdf["b"]):
+                b = np.frombuffer(raw).reshape(-1, n)
+                out = shrink(b if out is None else np.vstack([out, b]), size)
+        if out is not None:
+            yield pd.DataFrame({"n": [n], "b": [out.tobytes()]})
+
     out = None
-    for r in df.select(column).mapInPandas(partial, "n int, b binary").toLocalIterator():
+    for r in merged(df.select(column).mapInPandas(partial, "n int, b binary"), "n int, b binary", fold):
         b = np.frombuffer(r["b"]).reshape(-1, r["n"])
         out = shrink(b if out is None else np.vstack([out, b]), size)
     return out
 
 
 def truncated_svd(df: DataFrame, column: str, k: int, method: str = "gram", size: int | None = None, seed: int = 0) -> tuple[np.ndarray, np.ndarray]:
-    """Singular values and right vectors: exact by the Gram matrix, a sketch, or randomised."""
+    """Singular values and right vectors: exact by the Gram matrix, a sketch, randomised, or by the JVM library."""
+    if method == "mllib":
+        return mllib_svd(df, column, k)
     if method == "freq_dir":
         _, s, v = np.linalg.svd(frequent_directions(df, column, size or 2 * k), full_matrices=False)
         return s[:k], v[:k].T
@@ -384,6 +488,46 @@ def truncated_svd(df: DataFrame, column: str, k: int, method: str = "gram", size
     return np.sqrt(np.maximum(values[order], 0)), v[:, order]
 
 
+def mllib_svd(df: DataFrame, column: str, k: int) -> tuple[np.ndarray, np.ndarray]:
+    from pyspark.mllib.linalg import Vectors
+    from pyspark.mllib.linalg.distributed import RowMatrix
+
+    rows = df.select(F.transform(column, lambda x: x.cast("double")).alias("x")).rdd.map(lambda r: Vectors.dense(r["x"]))
+    found = RowMatrix(rows).computeSVD(k)
+    return np.array(found.s.toArray()), np.array(found.V.toArray())
+
+
+def perceptron(df: DataFrame, features: list[str], target: str, *, hidden: int = 4, epochs: int = 50, seed: int = 1) -> dict:
+    """A small network for two classes by the JVM library; its weights come back as plain arrays."""
+    from pyspark.ml.classification import MultilayerPerceptronClassifier
+    from pyspark.ml.feature import VectorAssembler
+
+    rows = VectorAssembler(inputCols=features, outputCol="_x").transform(df.select(*features, F.col(target).cast("double").alias("_y")))
+    p = len(features)
+    fitted = MultilayerPerceptronClassifier(featuresCol="_x", labelCol="_y", layers=[p, hidden, 2], maxIter=epochs, seed=seed).fit(rows)
+    w = np.array(fitted.weights.toArray())
+    one, rest = w[: p * hidden].reshape(hidden, p, order="F"), w[p * hidden :]
+    two = rest[hidden : hidden + 2 * hidden].reshape(2, hidden, order="F")
+    return {"kind": "perceptron", "w1": one, "b1": rest[:hidden], "w2": two, "b2": rest[3 * hidden :]}
+
+
+def perceptron_column(model: dict, features: list[str]) -> Column:
+    """The probability of class 1 as one expression: sigmoid units, then a softmax."""
+    units = []
+    for w, b in zip(model["w1"], model["b1"]):
+        z = F.lit(float(b))
+        for c, k in zip(features, w):
+            z = z + F.col(c) * F.lit(float(k))
+        units.append(1 / (1 + F.exp(-z)))
+    out = []
+    for w, b in zip(model["w2"], model["b2"]):
+        z = F.lit(float(b))
+        for u, k in zip(units, w):
+            z = z + u * F.lit(float(k))
+        out.append(z)
+    return 1 / (1 + F.exp(out[0] - out[1]))
+
+
 def quantize(vector: Column) -> Column:
     """8-bit integers and their scale; a vector of zeros has scale 0."""
     most = F.array_max(F.transform(vector, lambda x: F.abs(x)))

@@ -8,6 +8,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .order import exact_quantiles
+
 
 def unpivoted(row: DataFrame, names: dict[str, tuple]) -> DataFrame:
     """One-row aggregates to rows; names: aggregate to its labels."""
@@ -50,13 +52,15 @@ def profile_vocabulary(df: DataFrame, column: str) -> DataFrame:
 
 def numeric_statistics(c: str) -> dict[str, Column]:
     x = F.col(c).cast("double")
-    return {"min": F.min(x) + 0.0, "max": F.max(x), "mean": F.round(F.avg(x), 4), "std": F.round(F.stddev_pop(x), 4), "median": F.percentile(x, 0.5)}
+    return {"min": F.min(x) + 0.0, "max": F.max(x), "mean": F.round(F.avg(x), 4), "std": F.round(F.stddev_pop(x), 4)}
 
 
 def profile_numeric(df: DataFrame, columns: list[str] | None = None) -> DataFrame:
     cols = columns or numeric_columns(df)
     aggs = {f"{c}|{s}": col for c in cols for s, col in numeric_statistics(c).items()}
-    out = unpivoted(df.agg(*[v.alias(k) for k, v in aggs.items()]), {k: tuple(k.split("|")) for k in aggs})
+    medians = exact_quantiles(df, cols)
+    row = df.agg(*[v.alias(k) for k, v in aggs.items()]).withColumns({f"{c}|median": F.lit(v).cast("double") for c, v in medians.items()})
+    out = unpivoted(row, {k: tuple(k.split("|")) for k in (*aggs, *[f"{c}|median" for c in medians])})
     return out.select(F.col("k0").alias("column_name"), F.col("k1").alias("statistic"), "value")
 
 
