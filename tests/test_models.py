@@ -7,7 +7,7 @@ from weftline.operators import encoders as enc
 from weftline.operators import models, profile
 from weftline.plans.pipeline import fuse
 from weftline.runtime.cache import ReuseCache
-from weftline.runtime.executor import ABLATION, Executor, moments_by_row, run_optimized
+from weftline.runtime.executor import ABLATION, Executor, run_optimized
 from weftline.workloads import listing as lst
 
 
@@ -47,7 +47,7 @@ def test_moments_and_ridge(numbers):
     m = models.moments(df, ["a", "b", "c"], "y", "fold")
     z = np.column_stack([np.ones(300), x, y])
     assert np.allclose(sum(m.values()), z.T @ z) and np.allclose(m[1], z[1::4].T @ z[1::4])
-    assert np.allclose(moments_by_row(df, ["a", "b", "c"], "y", None)[0], z.T @ z)
+    assert np.allclose(models.moments(df, ["a", "b", "c"], "y", kernel="rows")[0], z.T @ z)
     w = models.solve_ridge(sum(m.values()), 2.0)
     xc, yc = x - x.mean(0), y - y.mean()
     assert np.allclose(w["w"], np.linalg.solve(xc.T @ xc + 2 * np.eye(3), xc.T @ yc))

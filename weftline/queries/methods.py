@@ -34,6 +34,7 @@ def _frame(t: Tables, node: Node, flags: OptFlags = OptFlags(reuse=False)) -> Da
     """A plan's last frame through rewriting, lowering and the executor."""
     ex = Executor(t.spark, t.sf_dir, flags)
     dag, _ = ex.plan(Dag({"q": node}))
+    ex.bind(dag)
     value = ex._value(dag.sinks["q"], "q", {})
     return getattr(value, "df", value)
 
@@ -211,15 +212,8 @@ def _(t):
 @query("d5_impl_agreement", "SELECT 3 AS implementations, true AS agree")
 def _(t):
     rows = _listing(t, ["size_m", "p_retailprice", "price", "bucket"]).filter("bucket < 8").select(F.coalesce("size_m", F.lit(25)).alias("size_m"), "p_retailprice", "price")
-    from ..runtime.executor import moments_by_row
-
     names = ["size_m", "p_retailprice"]
-    expressions, by_row = models.moments(rows, names, "price")[0], moments_by_row(rows, names, "price", None)[0]
-    most, models.EXPRESSION_COLUMNS = models.EXPRESSION_COLUMNS, 0
-    try:
-        blocks = models.moments(rows, names, "price")[0]
-    finally:
-        models.EXPRESSION_COLUMNS = most
+    expressions, blocks, by_row = (models.moments(rows, names, "price", kernel=k)[0] for k in ("expressions", "blocks", "rows"))
     agree = bool(np.allclose(expressions, by_row, rtol=1e-9) and np.allclose(expressions, blocks, rtol=1e-9))
     return _values(t, [(3, agree)], "implementations int, agree boolean")
 

@@ -12,28 +12,34 @@ from concurrent.futures import Future, ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 import numpy as np
-import pandas as pd
 from pyspark import inheritable_thread_target
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import encoders, models
+from ..plans import select
 from ..plans.ir import Dag, Node
 from ..plans.lowering import lower
 from ..plans.pipeline import Pipeline, PipelineBatch, fuse, parse_spec, to_spec
 from ..plans.rewrite import optimize_logical
+from ..plans.schedule import Schedule, plan_schedule
 from ..workloads.listing import listing
-from .cache import ReuseCache
+from . import metadata
+from .cache import ReuseCache, mark_candidates, storage_bytes
 
 
 @dataclass(frozen=True)
 class OptFlags:
-    """logical: rewrites and sharing; selection: native implementations; parallel: threads; reuse: the cache."""
+    """logical: rewrites and sharing; selection: implementations by cost (else the interpreted ones);
+    parallel: a schedule of concurrent jobs; reuse: the cache.  ``policy`` is cost or heuristic,
+    ``fidelity`` low asks for cheaper forms while exploring."""
 
     logical: bool = True
     selection: bool = True
     parallel: bool = True
     reuse: bool = True
+    policy: str = "cost"
+    fidelity: str = "full"
 
 
 @dataclass
@@ -58,14 +64,36 @@ class RunResult:
         return spark.createDataFrame(rows, "pipeline_id string, value double, status string")
 
 
+#: Executions that passed their estimate by this factor, and seconds, make the rest of a run be bound anew.
+SURPRISE, SURPRISE_SECONDS = 4.0, 2.0
+
+
 class Executor:
-    def __init__(self, spark: SparkSession, sf_dir: str, flags: OptFlags = OptFlags(), cache: ReuseCache | None = None, workers: int | None = None):
+    """Rewrites, lowers, binds, schedules and runs a DAG.
+
+    ``budget`` bounds what concurrent nodes may hold, by their worst-case estimates;
+    a plan none of whose implementations fits is infeasible before anything runs.
+    """
+
+    def __init__(self, spark: SparkSession, sf_dir: str, flags: OptFlags = OptFlags(), cache: ReuseCache | None = None, workers: int | None = None, *, budget: float | None = None, registry: select.Registry | None = None, stage: str = "explore"):
         self.spark, self.sf_dir, self.flags, self.cache = spark, sf_dir, flags, cache if flags.reuse else None
-        self.workers = workers or max(2, min(8, spark.sparkContext.defaultParallelism // 2))
+        self.cores = spark.sparkContext.defaultParallelism
+        self.workers, self.stage = workers, stage
+        self.budget = budget or storage_bytes(spark)
+        self.registry = registry or select.default_registry()
         self.done: dict[object, Future] = {}
         self.lock = threading.Lock()
+        self.memory = threading.Condition()
+        self.held = 0.0
         self.kept: list[DataFrame] = []
         self.observed: dict[str, float] = {}
+        self.bound: select.Binding = {}
+        self.metas: dict[str, select.Meta] = {}
+        self.estimates: dict[str, select.CostEstimate] = {}
+        self.marks: set[str] = set()
+        self.schedule: Schedule | None = None
+        self.replans = 0
+        self.best_settings: dict[str, int] = {}
 
     def plan(self, dag: Dag) -> tuple[Dag, list]:
         trace = []
@@ -77,14 +105,33 @@ class Executor:
             trace += more
         return dag, trace
 
+    def bind(self, dag: Dag) -> None:
+        """Metadata, implementations, marks and a schedule for a lowered DAG."""
+        self.metas = metadata.collect_metadata(dag, self.spark, self.sf_dir)
+        policy = self.flags.policy if self.flags.selection else "interpreted"
+        cached = {n.key for n in dag.nodes() if n.op == "APPLY_PREP" and self.cache is not None and self.cache.has(n)}
+        fidelity = self.flags.fidelity if self.stage == "explore" else "full"
+        self.bound, _ = select.select_impls(dag, self.registry, self.metas, self.budget, policy=policy, cached=cached, fidelity=fidelity)
+        self.estimates = select.estimates_of(dag, self.bound, self.metas)
+        if self.cache is not None:
+            seconds = {k: e.seconds for k, e in self.estimates.items()}
+            self.marks = set(mark_candidates(dag, seconds, {k: m.bytes for k, m in self.metas.items()}, self.stage))
+        if self.flags.parallel:
+            self.schedule = plan_schedule(dag, self.estimates, self.budget, self.cores, self.flags.policy)
+
     def _route(self, n: Node) -> list[dict]:
         df = self._value(n.inputs[0], "route", {})
         return encoders.route(df, n.params["columns"])
 
-    def run(self, dag: Dag, limit_rows: str | None = None) -> RunResult:
+    def run(self, dag: Dag, stage: str | None = None) -> RunResult:
         """Every sink's value; a sink that fails is a trial with a status, the others go on."""
         began = time.time()
+        self.stage = stage or self.stage
         dag, trace = self.plan(dag)
+        try:
+            self.bind(dag)
+        except MemoryError:  # bind what fits, a sink at a time
+            return self._run_apart(dag, trace, began)
         users = dag.consumers() if dag.shared else {}
         names = list(dag.sinks)
 
@@ -100,16 +147,49 @@ class Executor:
                 value, status = None, f"failed: {type(e).__name__}"
             return {"pipeline_id": name, "value": value, "status": status, "seconds": time.time() - start}
 
-        if self.flags.parallel and len(names) > 1:
-            with ThreadPoolExecutor(self.workers) as pool:
+        if self.flags.parallel and dag.shared and self.schedule is not None:
+            nodes = {n.key: n for n in dag.nodes()}
+            with ThreadPoolExecutor(self.workers or max(2, self.schedule.width)) as pool:
+                for key in self.schedule.order:  # inputs come first, so a waiting thread's inputs are running or done
+                    pool.submit(inheritable_thread_target(self._ahead), nodes[key], users)
+            trials = [one(n) for n in names]
+        elif self.flags.parallel and len(names) > 1:
+            with ThreadPoolExecutor(self.workers or max(2, min(8, self.cores // 2))) as pool:
                 trials = list(pool.map(inheritable_thread_target(one), names))
         else:
             trials = [one(n) for n in names]
         for df in self.kept:
             df.unpersist()
         self.kept.clear()
+        if self.cache is not None:
+            self.cache.settle()
         return RunResult(trials, dag.count(), dag.count("READ"), time.time() - began, trace)
 
+    def _run_apart(self, dag: Dag, trace: list, began: float) -> RunResult:
+        trials = []
+        for name, sink in dag.sinks.items():
+            alone = Dag({name: sink}, dag.shared)
+            try:
+                self.bind(alone)
+            except MemoryError:
+                trials.append({"pipeline_id": name, "value": None, "status": "infeasible", "seconds": 0.0})
+                continue
+            try:
+                value, status = self._value(sink, name, {}), "ok"
+            except MemoryError:
+                value, status = None, "infeasible"
+            except Exception as e:
+                value, status = None, f"failed: {type(e).__name__}"
+            trials.append({"pipeline_id": name, "value": value, "status": status, "seconds": 0.0})
+        return RunResult(trials, dag.count(), dag.count("READ"), time.time() - began, trace)
+
+    def _ahead(self, node: Node, users: dict[str, int]) -> None:
+        self.spark.sparkContext.setLocalProperty("spark.scheduler.pool", node.op)
+        try:
+            self._value(node, "ahead", users)
+        except Exception:  # its users meet it again
+            pass
+
     def _value(self, node: Node, sink: str, users: dict[str, int]):
         """The node's value, computed once where nodes are shared."""
         if not self.flags.logical:
@@ -135,12 +215,27 @@ class Executor:
             state = self.cache.state(n)
             if state is not None:
                 return state
-        began = time.time()
         args = [self._value(i, sink, users) for i in n.inputs]
-        value = getattr(self, f"_{n.op.lower()}")(n.params, *args)
-        self.observed[n.key] = time.time() - began
+        peak = self.estimates[n.key].peak_bytes if n.key in self.estimates else 0.0
+        with self.memory:  # an operator alone may always run: the plan has checked it
+            self.memory.wait_for(lambda: not self.held or self.held + peak <= self.budget)
+            self.held += peak
+        try:
+            began = time.time()
+            impl = self.bound.get(n.key)
+            if impl is not None and impl.run is not None:
+                value = impl.run(self, n.params, *args)
+                value = Prepared(*value) if n.op == "APPLY_PREP" else value
+            else:
+                value = getattr(self, f"_{n.op.lower()}")(n.params, *args)
+            self.observed[n.key] = time.time() - began
+        finally:
+            with self.memory:
+                self.held -= peak
+                self.memory.notify_all()
+        self._surprised(n)
         if n.op == "APPLY_PREP":
-            if self.cache is not None:
+            if self.cache is not None and n.key in self.marks:
                 value = Prepared(self.cache.put(n, value.df, value.features, self.observed[n.key]), value.features)
             elif users.get(n.key, 0) > 1:
                 value.df = value.df.persist()
@@ -149,6 +244,43 @@ class Executor:
             self.cache.put_state(n, value)
         return value
 
+    def _surprised(self, n: Node) -> None:
+        """Observed seconds far beyond the estimate replace the constants, and what hasn't run is bound anew."""
+        estimate, impl, seconds = self.estimates.get(n.key), self.bound.get(n.key), self.observed[n.key]
+        if estimate is None or impl is None or impl.run is None or seconds < SURPRISE_SECONDS or seconds < SURPRISE * estimate.seconds:
+            return
+        with self.lock:
+            self.replan(n)
+
+    def replan(self, after: Node) -> None:
+        before = self.metas[after.inputs[0].key] if after.inputs else self.metas[after.key]
+        impl, seconds = self.bound[after.key], self.observed[after.key]
+        self.registry.calibrate(after.op, impl.name, [(select.Meta(0, 0), 0.1 * seconds), (before, seconds)], safety=1.0)
+        rest = {k for k in self.bound if k not in self.done and k not in self.observed}
+        for k in rest:
+            options = [i for i in self.registry.entries.get(after.op, []) if self.bound[k].name in (i.name, "reload")]
+            if options and self.bound[k].run is not None:
+                self.bound[k] = next((i for i in options if i.name == self.bound[k].name), self.bound[k])
+        self.replans += 1
+
+    def estimate_report(self, dag: Dag) -> list[tuple]:
+        """(operator, implementation, estimated seconds, observed seconds) of what ran."""
+        return [(n.op, self.bound[n.key].name, self.estimates[n.key].seconds, self.observed[n.key]) for n in dag.nodes() if n.key in self.observed and n.key in self.bound]
+
+    def preview(self, node: Node, rows: int = 10) -> list:
+        """The eager way out: some rows of a recorded step's frame."""
+        dag, _ = self.plan(Dag({"preview": node}))
+        self.bind(dag)
+        value = self._value(dag.sinks["preview"], "preview", {})
+        frame = value.df if isinstance(value, Prepared) else value
+        return frame.limit(rows).collect()
+
+    def collect_state(self, node: Node):
+        """The eager way out for a fitted step: its state as it is."""
+        dag, _ = self.plan(Dag({"state": node}))
+        self.bind(dag)
+        return self._value(dag.sinks["state"], "state", {})
+
     # physical operators
 
     def _read(self, p: dict) -> DataFrame:
@@ -176,29 +308,8 @@ class Executor:
     def _fit_prep(self, p: dict, df: DataFrame) -> dict:
         return encoders.fit_all(df, p["prep"]["encoders"], p["train"], p["target"])
 
-    def _apply_prep(self, p: dict, df: DataFrame, states: dict) -> Prepared:
-        out, features = encoders.apply_all(df, p["prep"]["encoders"], states, p["prep"]["carry"], p["train"])
-        if not self.flags.selection:
-            out = row_at_a_time(out, features)
-        return Prepared(out, features)
-
-    def _moments(self, p: dict, data: Prepared) -> dict:
-        rows = data.df.filter(p["rows"])
-        if not self.flags.selection:
-            return moments_by_row(rows, data.features, p["target"], p["by"])
-        return models.moments(rows, data.features, p["target"], p["by"])
-
-    def _solve(self, p: dict, data: Prepared, sums: dict) -> dict:
-        m = sum(v for k, v in sums.items() if p["leave_out"] is None or k != p["leave_out"])
-        model = p["model"]
-        solved = models.solve_ridge(m, model["alpha"]) if model["kind"] == "ridge" else models.solve_elastic_net(m, model["alpha"], model["rho"])
-        return solved
-
-    def _fit_trees(self, p: dict, data: Prepared) -> dict:
-        return models.boost(data.df.filter(p["train"]), data.features, p["target"], **{k: v for k, v in p["model"].items() if k != "kind"})
-
     def _apply_model(self, p: dict, data: Prepared, model: dict) -> DataFrame:
-        return data.df.withColumn("prediction", models.prediction(model, data.features))
+        return models.predicted(data.df, model, data.features)
 
     def _score(self, p: dict, df: DataFrame) -> float:
         return float(df.filter(p["rows"]).agg(models.regression_measures(p["target"])[p["metric"]].alias("m")).first()[0])
@@ -211,41 +322,10 @@ class Executor:
         return float(np.nanmean(values))
 
     def _best(self, p: dict, *values: float) -> float:
-        self.observed["best setting"] = int(np.nanargmin(values))
+        self.best_settings["best setting"] = int(np.nanargmin(values))
         return float(np.nanmin(values))
 
 
-def row_at_a_time(df: DataFrame, features: list[str]) -> DataFrame:
-    """The interpreted form of a preparation: every row's features pass through a Python function."""
-    carry = [c for c in df.columns if c not in features]
-
-    def same(*values):
-        return [float(v) for v in values]
-
-    return df.withColumn("_x", F.udf(same, "array<double>")(*features)).select(*carry, *[F.col("_x")[k].alias(f) for k, f in enumerate(features)])
-
-
-def moments_by_row(df: DataFrame, features: list[str], target: str, by: str | None) -> dict:
-    """The interpreted form of moments: products row by row in Python."""
-    group = F.coalesce(F.col(by), F.lit(-1)).cast("int") if by else F.lit(0)
-    p = len(features) + 2
-
-    def run(batches):
-        sums = {}
-        for pdf in batches:
-            for row in pdf.itertuples(index=False):
-                z = np.array([1.0, *row[1:]])
-                m = sums.setdefault(row[0], np.zeros((p, p)))
-                m += np.outer(z, z)
-        yield pd.DataFrame({"b": list(sums), "m": [m.tobytes() for m in sums.values()]})
-
-    out = {}
-    wide = df.select(group.alias("_by"), *[F.col(c).cast("double").alias(c) for c in (*features, target)])
-    for r in wide.mapInPandas(run, "b int, m binary").collect():
-        out[r["b"]] = out.get(r["b"], 0) + np.frombuffer(r["m"]).reshape(p, p)
-    return out
-
-
 NOTHING = OptFlags(False, False, False, False)
 
 
@@ -285,7 +365,8 @@ def run_optimized(spark: SparkSession, sf_dir: str, *batches: PipelineBatch, fla
     """One fused DAG under the given optimisations."""
     if flags.reuse and cache is None:
         cache = ReuseCache(spark, sf_dir)
-    return Executor(spark, sf_dir, flags, cache).run(fuse(*batches))
+    stage = "exploit" if any(b.stage == "exploit" for b in batches) else "explore"
+    return Executor(spark, sf_dir, flags, cache, stage=stage).run(fuse(*batches))
 
 
 def run_spec(spark: SparkSession, sf_dir: str, spec: str) -> dict:
