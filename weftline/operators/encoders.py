@@ -101,14 +101,17 @@ def fit_numeric(rows: DataFrame, e: dict, found: dict, target: str) -> dict:
 
 def fit_onehot(rows: DataFrame, e: dict, found: dict, target: str) -> dict:
     """Categories in order; rare ones share one column, unseen ones have zeros."""
+    cols, most = e["cols"], e.get("max_categories", INLINE_CATEGORIES)
+    values = F.array(*[F.struct(F.lit(k).alias("k"), cleaned(F.col(c).cast("string")).alias("v")) for k, c in enumerate(cols)])
+    counts = rows.select(F.explode(values).alias("r")).select("r.*").filter("v is not null").groupBy("k", "v").count()
+    got = counts.orderBy("k", "v").limit((most + 1) * len(cols)).collect()
     state = {}
-    most = e.get("max_categories", INLINE_CATEGORIES)
-    for c in e["cols"]:
-        counts = rows.select(cleaned(F.col(c).cast("string")).alias("v")).filter("v is not null").groupBy("v").count()
-        got = counts.orderBy("v").limit(most + 1).collect()
-        if len(got) > most:
-            raise MemoryError(f"{c} has more than {most} categories: one-hot columns would pass the memory bound")
-        state[c] = ([r["v"] for r in got if r["count"] >= e.get("min_count", 1)], [r["v"] for r in got if r["count"] < e.get("min_count", 1)])
+    for k, c in enumerate(cols):
+        mine = [r for r in got if r["k"] == k]
+        if len(mine) > most or len(got) > most * len(cols):
+            raise MemoryError(f"{c if len(mine) > most else cols} has more than {most} categories: one-hot columns would pass the memory bound")
+        least = e.get("min_count", 1)
+        state[c] = ([r["v"] for r in mine if r["count"] >= least], [r["v"] for r in mine if r["count"] < least])
     return state
 
 
@@ -122,9 +125,9 @@ def fit_target(rows: DataFrame, e: dict, found: dict, target: str) -> dict:
     state = {}
     for c in e["cols"]:
         sums = target_sums(rows, c, target, e.get("fold"))
-        total = sums.agg(F.sum("s").alias("s"), F.sum("n").alias("n")).first()
-        folds = {r["fold"]: (r["s"], r["n"]) for r in sums.groupBy("fold").agg(F.sum("s").alias("s"), F.sum("n").alias("n")).collect()} if e.get("fold") else {}
-        state[c] = {"sums": sums, "total": (total["s"] or 0.0, total["n"] or 0), "folds": folds}
+        parts = sums.groupBy(*(["fold"] if e.get("fold") else [])).agg(F.sum("s").alias("s"), F.sum("n").alias("n")).collect()
+        total = (sum(r["s"] or 0.0 for r in parts), sum(r["n"] or 0 for r in parts))
+        state[c] = {"sums": sums, "total": total, "folds": {r["fold"]: (r["s"], r["n"]) for r in parts} if e.get("fold") else {}}
     return state
 
 
@@ -183,12 +186,13 @@ def fit_text(rows: DataFrame, e: dict, found: dict, target: str) -> dict:
     """
     state = {}
     for c in e["cols"]:
-        strings = rows.select(F.col(c).alias("v")).filter("v is not null").groupBy("v").agg(F.count("*").alias("w"))
+        strings = rows.select(F.col(c).alias("v")).filter("v is not null").groupBy("v").agg(F.count("*").alias("w")).persist()
         total = strings.agg(F.sum("w")).first()[0] or 0
         counts = text_counts(strings, e)
         vocabulary = counts.groupBy("gram").agg(F.sum("w").alias("df")).orderBy(F.desc("df"), "gram").limit(e.get("vocabulary", 1000)).collect()
         idf = {r["gram"]: math.log((1 + total) / (1 + r["df"])) + 1 for r in vocabulary}
         gram = weighted_gram(strings, idf, e)
+        strings.unpersist()
         values, vectors = np.linalg.eigh(gram) if len(gram) else (np.empty(0), np.empty((0, 0)))
         order = np.argsort(-values, kind="stable")[: e["n_components"]]
         v = vectors[:, order]

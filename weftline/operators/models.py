@@ -7,6 +7,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -175,36 +176,44 @@ def binned(df: DataFrame, features: list[str], edges: list[list[float]], keep: l
     return df.select(*keep, *[one(c, e).alias(f"b{i}") for i, (c, e) in enumerate(zip(features, edges))])
 
 
+#: Rows that a task of a pass has at least: passes are many and short.
+TASK_ROWS = 100_000
+#: Further leaves whose best splits are scanned along, as they are likely to come next.
+LEAVES_AHEAD = 3
 #: Trees after which every row's margin is kept as a column.
 MARGIN_TREES = 4
 
 
-def histograms(df: DataFrame, n_features: int, width: int, trees: list, growing: list[tuple], nodes: list[int], target: str) -> dict[int, np.ndarray]:
-    """Per frontier node sums of gradient and rows by (feature, bin): one pass over the bins.
+def histograms(df: DataFrame, n_features: int, width: int, trees: list, growing: list[tuple], parts: list[tuple], target: str) -> list[np.ndarray]:
+    """Sums of gradient and rows by (feature, bin) for parts of the frontier: one pass over the bins.
 
-    ``trees`` are those since the margin was last kept.
+    A part is a node, or with (feature, bin, missing left, side) the rows of a
+    node that its split would send to one side.  ``trees`` are those since the
+    margin was last kept.
     """
     names = [f"b{i}" for i in range(n_features)]
-    slot = {n: k for k, n in enumerate(nodes)}
 
-    def partial(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        out = np.zeros((len(nodes), n_features, width, 2))
-        for pdf in batches:
-            bins = pdf[names].to_numpy()
-            g = pdf["margin"].to_numpy(float) - pdf[target].to_numpy(float)
+    def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        out = np.zeros((len(parts), n_features, width, 2))
+        for batch in batches:
+            bins = np.column_stack([batch.column(c).to_numpy(zero_copy_only=False) for c in names])
+            g = batch.column("margin").to_numpy(zero_copy_only=False) - batch.column(target).to_numpy(zero_copy_only=False)
             for t in trees:
-                g += tree_values(t, bins)
+                g = g + tree_values(t, bins)
             leaf = leaf_of(growing, bins)
-            for node, k in slot.items():
+            for k, (node, split) in enumerate(parts):
                 mine = leaf == node
-                if mine.any():
-                    for f in range(n_features):
-                        out[k, f, :, 0] += np.bincount(bins[mine, f], g[mine], width)
-                        out[k, f, :, 1] += np.bincount(bins[mine, f], minlength=width)
-        yield pd.DataFrame({"b": [0], "m": [out.tobytes()]})
+                if split is not None:
+                    f, b, missing_left, left = split
+                    mine &= ((bins[:, f] <= b) & ((bins[:, f] > 0) | missing_left)) == left
+                rows, gradient = bins[mine], g[mine]
+                for f in range(n_features):
+                    out[k, f, :, 0] += np.bincount(rows[:, f], gradient, width)
+                    out[k, f, :, 1] += np.bincount(rows[:, f], minlength=width)
+        yield pa.RecordBatch.from_pydict({"b": pa.array([0], pa.int32()), "m": [out.tobytes()]})
 
-    total = summed(df.mapInPandas(partial, "b int, m binary")).get(0, np.zeros(len(nodes) * n_features * width * 2))
-    return dict(zip(nodes, total.reshape(len(nodes), n_features, width, 2)))
+    total = summed(df.mapInArrow(partial, "b int, m binary")).get(0, np.zeros(len(parts) * n_features * width * 2))
+    return list(total.reshape(len(parts), n_features, width, 2))
 
 
 def best_split(h: np.ndarray, lam: float, min_rows: int = 1, missing: bool = False) -> tuple:
@@ -236,14 +245,16 @@ def goes_left(column: Column, b: int, missing_left: bool) -> Column:
 def boost(df: DataFrame, features: list[str], target: str, *, growth: str = "level", trees: int = 8, depth: int = 3, leaves: int = 8, eta: float = 0.3, lam: float = 1.0, gamma: float = 0.0, bins: int = 16) -> dict:
     """Squared-loss boosting on histograms, growing by level or by best leaf.
 
-    By leaf only the smaller child is scanned; its sibling is the difference.
+    Only the smaller child of a split is scanned; its sibling is the difference.
+    By leaf a pass also scans the children of the next best leaves, for later.
     Rows carry the margin of earlier trees, brought up to date every few trees.
     """
     edges = bin_edges(df, features, bins)
     p, width = len(features), bins + 1
     own = binned(df, features, edges, [F.col(f"`{target}`").cast("double").alias("y")])
-    base = float(df.agg(F.avg(target)).first()[0] or 0.0)
-    data = own.withColumn("margin", F.lit(base)).persist()
+    n_rows, base = df.agg(F.count(F.lit(1)), F.avg(target)).first()
+    base = float(base or 0.0)
+    data = own.withColumn("margin", F.lit(base)).coalesce(max(1, n_rows // TASK_ROWS)).persist()
     try:
         grown: list[list[tuple]] = []
         recent: list[list[tuple]] = []
@@ -256,30 +267,39 @@ def boost(df: DataFrame, features: list[str], target: str, *, growth: str = "lev
                 data.count()
                 before.unpersist()
             tree: list[tuple] = [(-1, 0, 0, 0, 0.0, True)]
-            h = histograms(data, p, width, recent, tree, [0], "y")
+            root = histograms(data, p, width, recent, tree, [(0, None)], "y")[0]
             value = lambda x: float(-eta * x[0, :, 0].sum() / (x[0, :, 1].sum() + lam))
-            frontier = [(-best_split(h[0], lam, missing=True)[0], 0, h[0])]
+            frontier = [(-best_split(root, lam, missing=True)[0], 0, root)]
+            scanned: dict[int, tuple] = {}
             n_leaves, level = 1, 0
             while frontier and (level < depth if growth == "level" else n_leaves < leaves):
-                take = frontier if growth == "level" else [heapq.heappop(frontier)]
-                rest = [] if growth == "level" else frontier
-                split = []
-                for _, node, hist in sorted(take, key=lambda x: x[1]):
-                    gain, f, b, missing_left = best_split(hist, lam, missing=True)
-                    if gain <= gamma or not np.isfinite(gain):
+                if growth == "level":
+                    take, frontier = sorted(frontier, key=lambda x: x[1]), []
+                    ahead = take
+                else:
+                    take = [heapq.heappop(frontier)]
+                    ahead = [*take, *heapq.nsmallest(LEAVES_AHEAD, frontier)]
+                asked = []
+                if any(node not in scanned for _, node, _ in take):
+                    for _, node, hist in ahead:
+                        gain, f, b, missing_left = best_split(hist, lam, missing=True)
+                        if node not in scanned and gain > gamma and np.isfinite(gain):
+                            n_low = hist[f, (0 if missing_left else 1) : b + 1, 1].sum()
+                            asked.append((node, (f, b, missing_left, bool(2 * n_low <= hist[f, :, 1].sum()))))
+                if asked:
+                    for (node, split), small in zip(asked, histograms(data, p, width, recent, tree, asked, "y")):
+                        scanned[node] = (split, small)
+                for _, node, hist in take:
+                    if node not in scanned:
                         tree[node] = (-1, 0, 0, 0, value(hist), True)
                         continue
+                    (f, b, missing_left, left), small = scanned[node]
                     low, high = len(tree), len(tree) + 1
                     tree += [(-1, 0, 0, 0, 0.0, True)] * 2
                     tree[node] = (f, b, low, high, 0.0, missing_left)
-                    n_low = hist[f, (0 if missing_left else 1) : b + 1, 1].sum()
-                    split.append((hist, low, high) if 2 * n_low <= hist[f, :, 1].sum() else (hist, high, low))
                     n_leaves += 1
-                small = histograms(data, p, width, recent, tree, [s[1] for s in split], "y") if split else {}
-                frontier = rest
-                for hist, scanned, other in split:
-                    for node, got in ((scanned, small[scanned]), (other, hist - small[scanned])):
-                        heapq.heappush(frontier, (-best_split(got, lam, missing=True)[0], node, got))
+                    for child, got in ((low, small if left else hist - small), (high, hist - small if left else small)):
+                        heapq.heappush(frontier, (-best_split(got, lam, missing=True)[0], child, got))
                 level += 1
             for _, node, hist in frontier:
                 tree[node] = (-1, 0, 0, 0, value(hist), True)

@@ -236,7 +236,7 @@ class Executor:
         self._surprised(n)
         if n.op == "APPLY_PREP":
             if self.cache is not None and n.key in self.marks:
-                value = Prepared(self.cache.put(n, value.df, value.features, self.observed[n.key]), value.features)
+                value = Prepared(self.cache.put(n, value.df, value.features, self.observed[n.key], self.metas[n.key].bytes), value.features)
             elif users.get(n.key, 0) > 1:
                 value.df = value.df.persist()
                 self.kept.append(value.df)

@@ -12,5 +12,5 @@ def session(cores: int = 8, memory: str = "12g", shuffle_partitions: int | None
         .config("spark.sql.shuffle.partitions", str(shuffle_partitions or cores))
         .config("spark.sql.adaptive.enabled", "true").config("spark.scheduler.mode", "FAIR")
         .config("spark.sql.session.timeZone", "UTC").config("spark.ui.enabled", "false")
-        .config("spark.driver.memory", memory).getOrCreate()
+        .config("spark.driver.memory", memory).config("spark.ui.showConsoleProgress", "false").getOrCreate()
     )
