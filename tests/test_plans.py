@@ -101,6 +101,12 @@ def test_traced_functions():
     assert rewrite.traced(lambda a: a if a > 2 else 0) == "CASE WHEN (a > 2) THEN a ELSE 0 END"
     assert rewrite.traced(lambda p_size: NAMES[p_size]) == SIZES["dict"]
     assert rewrite.traced(lambda a: a.strip()) is None
+    k = 7
+    assert rewrite.traced(lambda x: x * k, ["p_size"]) == "(p_size * 7)"
+    assert rewrite.traced(lambda x, y: x - y, ["a", "odd name"]) == "(a - `odd name`)"
+    two = (lambda x: x + 1, lambda x: x + 2)
+    assert [rewrite.traced(f, ["c"]) for f in two] == ["(c + 1)", "(c + 2)"]
+    assert rewrite.traced(lambda x: x + undefined_name, ["c"]) is None  # noqa: F821
 
 
 def test_choice_follows_budget_cache_and_registry():
