@@ -141,11 +141,7 @@ def terms(text: Column, e: dict) -> Column:
     analyzer = e.get("analyzer", "char_wb")
     if analyzer == "word":
         words = F.filter(F.split(F.lower(text), r"\s+"), lambda w: w != "")
-        grams = []
-        for n in sizes_of(e):
-            starts = F.sequence(F.lit(1), F.greatest(F.size(words) - (n - 1), F.lit(1)))
-            all_of = F.transform(starts, lambda i, n=n: F.array_join(F.slice(words, i, n), " "))
-            grams.append(F.when(F.size(words) >= n, all_of).otherwise(F.array().cast("array<string>")))
+        grams = [word_ngrams(words, n) for n in sizes_of(e)]
     else:
         plain = padded(text) if analyzer == "char_wb" else F.lower(text)
         grams = [char_ngrams(plain, n) for n in sizes_of(e)]
@@ -156,6 +152,12 @@ def terms(text: Column, e: dict) -> Column:
     return out
 
 
+def word_ngrams(words: Column, n: int) -> Column:
+    starts = F.sequence(F.lit(1), F.greatest(F.size(words) - (n - 1), F.lit(1)))
+    joined = F.transform(starts, lambda i: F.array_join(F.slice(words, i, n), " "))
+    return F.when(F.size(words) >= n, joined).otherwise(F.array().cast("array<string>"))
+
+
 def row_terms(text: str, e: dict) -> list[str]:
     """The same in Python, for one text."""
     analyzer, grams = e.get("analyzer", "char_wb"), []

@@ -99,12 +99,12 @@ def infer_task(df: DataFrame, target: str, most_classes: int = 20) -> str:
 
 
 def match_entities(a: DataFrame, b: DataFrame, key: str, block: Column, threshold: float) -> DataFrame:
-    """Pairs in a block whose normalised edit distance passes the threshold; blocking keeps pairs few."""
-    left = a.select(F.col(key).alias("left_value")).distinct().withColumn("block", block)
-    right = b.select(F.col(key).alias("right_value")).distinct()
-    right = right.withColumn("block", F.expr(block._jc.toString().replace("left_value", "right_value")))
-    far = F.levenshtein("left_value", "right_value") / F.greatest(F.length("left_value"), F.length("right_value"))
-    return left.join(right, "block").filter("left_value < right_value").withColumn("similarity", F.round(1 - far, 6)).filter(F.col("similarity") >= threshold).drop("block")
+    """Pairs of one block whose normalised edit distance passes the threshold.
+
+    Candidates come from shared rare characters, not from the block, so a block that holds many values is no join of all its pairs.
+    """
+    other = F.expr(block._jc.toString().replace("left_value", "right_value"))
+    return match_everywhere(a, b, key, threshold).filter(block == other)
 
 
 #: Values of one cut of a token's group; a cell of the join holds two cuts.

@@ -1,4 +1,4 @@
 """Registered queries and their SQL."""
 
-from . import methods, surface  # noqa: F401
+from . import checks, methods, surface  # noqa: F401
 from .base import ORACLES, QUERIES  # noqa: F401

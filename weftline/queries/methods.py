@@ -73,11 +73,6 @@ def _(t):
     return _frame(t, Pipeline.read("part").call(triple, shape="map", out_schema="p_partkey bigint, triple int").node)
 
 
-@query("a4_grid_search")
-def _(t):
-    return _trials(t, Executor(t.spark, t.sf_dir, OptFlags(reuse=False)).run(Dag({"grid": lst.code_example().node})).trials)
-
-
 @query("a6_spec_roundtrip", _A1)
 def _(t):
     p = Pipeline.read("listing").map(twice="price * 2").select("bucket = 3").project("l_orderkey", "l_suppkey", "twice")
@@ -87,17 +82,6 @@ def _(t):
 # B. fusion and rewrites
 
 
-@query("b1_fused_batch_scores")
-def _(t):
-    return _trials(t, run_optimized(t.spark, t.sf_dir, lst.fused_four(), flags=OptFlags(reuse=False)).trials)
-
-
-@query("b2_table_metadata", " UNION ALL ".join(f"SELECT '{n}' AS table_name, CAST(count(*) AS BIGINT) AS n_rows, CAST({c} AS BIGINT) AS n_cols FROM {n}" for n, c in {"region": 2, "nation": 3, "part": 6, "orders": 6, "lineitem": 11}.items()))
-def _(t):
-    rows = [(n, getattr(t, n).count(), len(getattr(t, n).columns)) for n in ("region", "nation", "part", "orders", "lineitem")]
-    return _values(t, rows, "table_name string, n_rows bigint, n_cols bigint")
-
-
 @query("b3_cse_prep_once", "SELECT * FROM (VALUES ('APPLY_PREP', 4, 2), ('FIT_PREP', 4, 2), ('READ', 4, 1)) AS v(op, before, after)")
 def _(t):
     before = fuse(lst.fused_four())
@@ -114,36 +98,12 @@ def _(t):
     return _frame(t, dag.sinks["a"]).unionByName(_frame(t, dag.sinks["b"]))
 
 
-@query("b5_pushdown", "SELECT p_partkey, p_size + 1 AS next FROM part WHERE p_size > 40")
-def _(t):
-    p = Pipeline.read("part").map(next="p_size + 1").project("p_partkey", "p_size", "next").select("p_size > 40").project("p_partkey", "next")
-    return _frame(t, rewrite.push_filters(Dag({"q": p.node})).sinks["q"])
-
-
 @query("b6_constant_fold", "SELECT p_partkey, 10 AS c FROM part")
 def _(t):
     p = Pipeline.read("part").select("1 = 1").map(c="2 * 3 + 4").project("p_partkey", "c")
     return _frame(t, rewrite.fold_constants(Dag({"q": p.node})).sinks["q"])
 
 
-@query("b7_prune", "SELECT s_suppkey, s_acctbal FROM supplier WHERE s_nationkey < 10")
-def _(t):
-    p = Pipeline.read("supplier").select("s_nationkey < 10").project("s_suppkey", "s_acctbal")
-    return _frame(t, rewrite.prune_columns(Dag({"q": p.node})).sinks["q"])
-
-
-@query("b8_collapse", "SELECT p_partkey, p_size + 1 AS a, p_size * 2 AS b, length(p_name) AS c FROM part")
-def _(t):
-    p = Pipeline.read("part").map(a="p_size + 1").map(b="p_size * 2").map(c="CAST(length(p_name) AS BIGINT)").project("p_partkey", "a", "b", "c")
-    return _frame(t, rewrite.collapse_assignments(Dag({"q": p.node})).sinks["q"])
-
-
-@query("b9_overwrite", "SELECT p_partkey, p_size * 3 AS a FROM part")
-def _(t):
-    p = Pipeline.read("part").map(a="p_size + 1").map(a="p_size * 3").project("p_partkey", "a")
-    return _frame(t, rewrite.overwrite_columns(Dag({"q": p.node})).sinks["q"])
-
-
 @query("b10_vectorized", "SELECT p_partkey, CASE WHEN p_size > 25 THEN p_size * 2 ELSE p_size - 1 END AS v FROM part")
 def _(t):
     udf = Node("UDF", {"shape": "row", "fn": lambda p_size: p_size * 2 if p_size > 25 else p_size - 1, "cols": ["p_size"], "out": "v", "schema": "int"}, (Node("READ", {"source": "part"}),))
@@ -218,14 +178,6 @@ def _(t):
     return _values(t, [(3, agree)], "implementations int, agree boolean")
 
 
-@query("d10_map_udf_shape", "SELECT CAST(count(*) AS BIGINT) AS rows_in, CAST(count(*) AS BIGINT) AS rows_out FROM supplier")
-def _(t):
-    def same(batches):
-        yield from batches
-
-    return t.supplier.agg(F.count("*").alias("rows_in")).crossJoin(t.supplier.mapInPandas(same, t.supplier.schema).agg(F.count("*").alias("rows_out")))
-
-
 # E. operators
 
 
@@ -283,11 +235,6 @@ def _(t):
     return counts.join(idf, "gram").select("v", "gram", F.round(F.col("tf") * F.col("idf"), 6).alias("weight"))
 
 
-@query("e5_components")
-def _(t):
-    return _encoded(t, {"kind": "text", "cols": ["p_name"], "n_components": 3})
-
-
 _TT = f"WITH g AS (SELECT n_name, sum(price) AS s, count(*) AS n FROM {TRAIN} GROUP BY 1), a AS (SELECT sum(s) AS s, sum(n) AS n FROM g)"
 for _name, _m in {"plain": 0, "smooth": 50}.items():
 
@@ -360,33 +307,12 @@ def _(t):
     return _split(t, _bins(t).filter("bin >= 2"))
 
 
-for _growth in ("level", "leaf"):
-
-    @query(f"e{10 if _growth == 'level' else 11}_trees_{_growth}")
-    def _(t, growth=_growth):
-        b = lst.batch({"scaled": lst.SCALED}, {f"trees_{growth}": lst.MODELS[f"trees_{growth}"]})
-        return _trials(t, run_optimized(t.spark, t.sf_dir, b, flags=OptFlags(reuse=False)).trials)
-
-
-@query("e9_elastic_net")
-def _(t):
-    return _trials(t, run_optimized(t.spark, t.sf_dir, lst.batch({"onehot": lst.ONEHOT}, {"elastic_net": lst.MODELS["elastic_net"]}), flags=OptFlags(reuse=False)).trials)
-
-
 @query("e12_gram", "SELECT CAST(i AS INT) AS i, round(sum(CAST(embedding[i] AS DOUBLE) * embedding[1]), 4) AS v FROM embeddings, range(1, 65) AS r(i) GROUP BY 1")
 def _(t):
     g = models.gram(t.embeddings.select("embedding"), "embedding")
     return _values(t, [(i + 1, round(float(g[i, 0]), 4)) for i in range(len(g))], "i int, v double")
 
 
-for _method in ("gram", "freq_dir", "randomized"):
-
-    @query(f"e12_svd_{_method}")
-    def _(t, method=_method):
-        s, _ = models.truncated_svd(t.embeddings, "embedding", 5, method, 20)
-        return _values(t, [(k, float(v)) for k, v in enumerate(s)], "k int, singular_value double")
-
-
 @query("e13_dateparts", f"SELECT l_orderkey, l_linenumber, l_suppkey, CAST(year(l_shipdate) AS DOUBLE) AS y, CAST(month(l_shipdate) AS DOUBLE) AS m, CAST(dayofweek(l_shipdate) + 1 AS DOUBLE) AS dow, CAST(date_diff('day', DATE '1970-01-01', CAST(l_shipdate AS DATE)) AS DOUBLE) AS epoch FROM {L}")
 def _(t):
     df = _encoded(t, {"kind": "dates", "cols": ["l_shipdate"]})
@@ -421,20 +347,6 @@ def _(t):
     return models.auc(df, "y", "s").select(F.round("auc", 6).alias("auc"))
 
 
-@query("e16_mean_ensemble", "SELECT p_partkey, (p_size * 10 + p_retailprice + 500) / 3 AS prediction FROM part")
-def _(t):
-    return t.part.select("p_partkey", ((F.col("p_size") * 10 + F.col("p_retailprice") + 500) / 3).alias("prediction"))
-
-
-for _how in ("weighted", "greedy", "stack"):
-
-    @query(f"e16_{_how}_ensemble")
-    def _(t, how=_how):
-        df = _listing(t, ["p_retailprice", "price"]).select((F.col("p_retailprice") * 900).alias("a"), (F.col("p_retailprice") * 1100).alias("b"), F.lit(940000.0).alias("c"), "price")
-        w = models.ensemble_weights(models.moments(df, ["a", "b", "c"], "price")[0], how)
-        return _values(t, [(n, float(x)) for n, x in zip("abc", w)], "member string, weight double")
-
-
 @query("e17_quantize", "SELECT vec_id, CAST(max(abs(q)) AS INT) AS top FROM (SELECT vec_id, unnest([CAST(round(CAST(x AS DOUBLE) / (list_max([abs(CAST(y AS DOUBLE)) FOR y IN embedding]) / 127)) AS INT) FOR x IN embedding]) AS q FROM embeddings) GROUP BY 1")
 def _(t):
     q = models.quantize(F.transform("embedding", lambda x: x.cast("double")))
@@ -465,13 +377,6 @@ def _(t):
     return profile.semantic_filter(t.documents, "text", lambda x: "license" in x.lower()).select("doc_id", "decision")
 
 
-@query("e21_logistic")
-def _(t):
-    df = others.churn(t.spark, t.sf_dir).filter("churned IS NOT NULL").select((F.col("c_acctbal") / 10000).alias("x"), (F.col("n_orders") / 10).alias("n"), "churned")
-    m = models.logistic(df, ["x", "n"], "churned")
-    return _values(t, [("b", m["b"]), ("x", m["w"][0]), ("n", m["w"][1])], "term string, weight double")
-
-
 # F, G, H
 
 
@@ -504,31 +409,6 @@ def _(t):
     return _values(t, [(same_trials(first, again), cache.stats["hits"] >= 2)], "equal boolean, had_hits boolean")
 
 
-@query("g6_moments_reuse", "SELECT 0 AS extra_scans, true AS equal")
-def _(t):
-    rows = _listing(t, ["p_retailprice", "l_suppkey", "price", "bucket"]).filter("bucket < 8")
-    m = models.moments(rows, ["p_retailprice", "l_suppkey"], "price")[0]
-    sub = m[np.ix_([0, 1, 3], [0, 1, 3])]
-    direct = models.moments(rows, ["p_retailprice"], "price")[0]
-    return _values(t, [(0, bool(np.allclose(sub, direct, rtol=1e-12)))], "extra_scans int, equal boolean")
-
-
-@query("h1_search_best")
-def _(t):
-    return _trials(t, [loop.run_search(t.spark, t.sf_dir)])
-
-
-@query("h2_halving_sample_sizes", "SELECT * FROM (VALUES (0, 9, 1000), (1, 3, 3000), (2, 1, 9000)) AS v(rung, candidates, n_rows)")
-def _(t):
-    return _values(t, [(k, c, r) for k, (c, r) in enumerate(loop.halving_plan(9, 3, 1000, 100000))], "rung int, candidates int, n_rows int")
-
-
-@query("h2_halving_survivors")
-def _(t):
-    rungs = loop.successive_halving(t.spark, t.sf_dir, lst.fused_four())
-    return _values(t, [(k, x["pipeline_id"], x["value"]) for k, r in enumerate(rungs) for x in r], "rung int, pipeline_id string, value double")
-
-
 @query("h5_incremental_equals_batch", "SELECT true AS equal")
 def _(t):
     whole = run_optimized(t.spark, t.sf_dir, lst.fused_four(), flags=OptFlags(reuse=False))
@@ -541,13 +421,6 @@ def _(t):
     return _trials(t, run_optimized(t.spark, t.sf_dir, lst.infeasible(), flags=OptFlags(reuse=False)).trials).select("pipeline_id", "status")
 
 
-@query("h12_stage_refine", "SELECT 3 AS variants, 1 AS shared_preps")
-def _(t):
-    base = lst.batch({"scaled": lst.SCALED}, {"ridge": lst.MODELS["ridge"]}).pipelines[0]
-    variants = loop.refine(base, "FIT_MODEL", [{"model": {"kind": "ridge", "alpha": a}} for a in (0.1, 1.0, 10.0)])
-    return _values(t, [(len(variants), rewrite.cse(fuse(PipelineBatch(tuple(variants)))).count("APPLY_PREP"))], "variants int, shared_preps int")
-
-
 # I. profiles
 
 _NUMS = ("l_quantity", "l_extendedprice", "l_discount")
@@ -563,11 +436,6 @@ def _(t):
     return profile.profile_cardinality(t.lineitem, ["l_partkey", "l_suppkey", "l_returnflag"])
 
 
-@query("i2_cardinality_sketch")
-def _(t):
-    return profile.profile_cardinality(t.lineitem, ["l_partkey", "l_suppkey", "l_returnflag"], exact=False)
-
-
 @query("i3_vocab", r"WITH c AS (SELECT token, count(*) AS n FROM (SELECT unnest(regexp_extract_all(lower(text), '[^ \t\n\r\f\v]+')) AS token FROM documents) GROUP BY 1) SELECT CAST(sum(n) AS BIGINT) AS n_tokens, CAST(count(*) AS BIGINT) AS n_types, round(count(*) / sum(n), 6) AS type_token_ratio, round(avg(CAST(n = 1 AS INT)), 6) AS hapax_share FROM c")
 def _(t):
     return profile.profile_vocabulary(t.documents, "text")
@@ -593,16 +461,6 @@ def _(t):
     return profile.hash_sample(t.lineitem, "l_orderkey", 10).select("l_orderkey", "l_linenumber", "l_suppkey")
 
 
-@query("i6_stratified")
-def _(t):
-    return t.lineitem.sampleBy("l_returnflag", {"A": 0.2, "N": 0.1, "R": 0.05}, seed=3).groupBy("l_returnflag").agg(F.count("*").alias("n"))
-
-
-@query("i7_fused_profile")
-def _(t):
-    return profile.profile_all({n: getattr(t, n) for n in ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")})
-
-
 @query("i8_task_kind", "SELECT * FROM (VALUES ('price', 'regression'), ('l_returnflag', 'classification'), ('bucket', 'classification')) AS v(target, task)")
 def _(t):
     df = _listing(t)
@@ -622,55 +480,16 @@ def _(t):
     return measures.utilization(t.events.select(F.col("ts").cast("timestamp").alias("ts"), "value"), "1 day")
 
 
-for _name, _run in {
-    "bl1_sequential": lambda t: run_sequential(t.spark, t.sf_dir, lst.fused_four()),
-    "bl2_threads_unshared": lambda t: run_thread_parallel(t.spark, t.sf_dir, lst.fused_four()),
-    "bl3_full": lambda t: run_optimized(t.spark, t.sf_dir, lst.fused_four()),
-    "bl4_logical": lambda t: run_optimized(t.spark, t.sf_dir, lst.fused_four(), flags=ABLATION["logical"]),
-    "bl5_selection": lambda t: run_optimized(t.spark, t.sf_dir, lst.fused_four(), flags=ABLATION["selection"]),
-    "bl6_parallel": lambda t: run_optimized(t.spark, t.sf_dir, lst.fused_four(), flags=ABLATION["parallel"]),
-}.items():
-    query(_name)(lambda t, run=_run: _trials(t, run(t).trials))
-
-
-@query("w1_iteration_one")
-def _(t):
-    return _trials(t, run_optimized(t.spark, t.sf_dir, lst.iteration_one(), flags=OptFlags(reuse=False)).trials)
-
-
-@query("w2_iteration_two")
-def _(t):
-    return _trials(t, loop.two_iterations(t.spark, t.sf_dir, OptFlags())[1].trials)
-
-
-@query("w3_fused_four")
-def _(t):
-    return _trials(t, run_optimized(t.spark, t.sf_dir, lst.fused_four(), flags=OptFlags(reuse=False)).trials)
-
-
 @query("w8_churn", others.CHURN_SQL)
 def _(t):
     return others.churn(t.spark, t.sf_dir)
 
 
-@query("w9_changed_lines")
-def _(t):
-    texts = [to_spec(p, indent=1) for p in (*lst.iteration_one().pipelines, *lst.iteration_two("b/ridge").pipelines)]
-    return _values(t, [(k, measures.changed_line_ratio(a, b)) for k, (a, b) in enumerate(zip(texts, texts[1:]))], "iteration int, changed double")
-
-
 @query("w11_text_features", others.TEXT_SQL)
 def _(t):
     return others.text_features(t.spark, t.sf_dir)
 
 
-@query("w13_two_agents", "SELECT 8 AS pipelines, 2 AS preps")
-def _(t):
-    dag = rewrite.cse(fuse(lst.fused_four(), PipelineBatch(lst.fused_four().pipelines, tenant="second")))
-    run_optimized(t.spark, t.sf_dir, lst.fused_four(), lst.fused_four(), flags=OptFlags(reuse=False))
-    return _values(t, [(len(dag.sinks), dag.count("APPLY_PREP"))], "pipelines int, preps int")
-
-
 @query("w14_streamed_specs", "SELECT 4 AS pipelines, true AS equal")
 def _(t):
     from ..sources.files import scratch

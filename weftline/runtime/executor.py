@@ -23,6 +23,7 @@ from ..plans.lowering import lower
 from ..plans.pipeline import Pipeline, PipelineBatch, fuse, parse_spec, to_spec
 from ..plans.rewrite import optimize_logical
 from ..plans.schedule import Schedule, plan_schedule
+from ..workloads import others
 from ..workloads.listing import listing
 from . import metadata
 from .cache import ReuseCache, mark_candidates, storage_bytes
@@ -150,8 +151,10 @@ class Executor:
         if self.flags.parallel and dag.shared and self.schedule is not None:
             nodes = {n.key: n for n in dag.nodes()}
             with ThreadPoolExecutor(self.workers or max(2, self.schedule.width)) as pool:
+                needed = self._needed(dag)
                 for key in self.schedule.order:  # inputs come first, so a waiting thread's inputs are running or done
-                    pool.submit(inheritable_thread_target(self._ahead), nodes[key], users)
+                    if key in needed:
+                        pool.submit(inheritable_thread_target(self._ahead), nodes[key], users)
             trials = [one(n) for n in names]
         elif self.flags.parallel and len(names) > 1:
             with ThreadPoolExecutor(self.workers or max(2, min(8, self.cores // 2))) as pool:
@@ -165,6 +168,17 @@ class Executor:
             self.cache.settle()
         return RunResult(trials, dag.count(), dag.count("READ"), time.time() - began, trace)
 
+    def _needed(self, dag: Dag) -> set[str]:
+        """Nodes that a run must look at: nothing below what the cache has."""
+        todo, out = list(dag.sinks.values()), set()
+        while todo:
+            n = todo.pop()
+            if n.key not in out:
+                out.add(n.key)
+                if self.cache is None or not self.cache.has(n):
+                    todo += n.inputs
+        return out
+
     def _run_apart(self, dag: Dag, trace: list, began: float) -> RunResult:
         trials = []
         for name, sink in dag.sinks.items():
@@ -286,7 +300,10 @@ class Executor:
     def _read(self, p: dict) -> DataFrame:
         if p["source"] == "listing":
             return listing(self.spark, self.sf_dir, p.get("columns"))
-        df = self.spark.read.parquet(f"{self.sf_dir}/{p['source']}.parquet")
+        if p["source"] in others.VIEWS:
+            df = others.VIEWS[p["source"]][0](self.spark, self.sf_dir)
+        else:
+            df = self.spark.read.parquet(f"{self.sf_dir}/{p['source']}.parquet")
         return df.select(*p["columns"]) if p.get("columns") else df
 
     def _filter(self, p: dict, df: DataFrame) -> DataFrame:
@@ -312,7 +329,11 @@ class Executor:
         return models.predicted(data.df, model, data.features)
 
     def _score(self, p: dict, df: DataFrame) -> float:
-        return float(df.filter(p["rows"]).agg(models.regression_measures(p["target"])[p["metric"]].alias("m")).first()[0])
+        rows, target = df.filter(p["rows"]), p["target"]
+        if p["metric"] == "auc":
+            return float(models.auc(rows, target, "prediction").first()[0])
+        measures = models.regression_measures(target) | models.class_measures(target, "prediction")
+        return float(rows.agg(measures[p["metric"]].alias("m")).first()[0])
 
     def _score_moments(self, p: dict, model: dict, sums: dict) -> float:
         squares, n = models.moment_errors(sums[p["fold"]], model) if p["fold"] in sums else (0.0, 0.0)

@@ -54,6 +54,14 @@ def trees_mllib(ex, p: dict, data) -> dict:
     return models.mllib_boost(data.df.filter(p["train"]), data.features, p["target"], **tree_options(p))
 
 
+def classifier_logistic(ex, p: dict, data) -> dict:
+    return models.logistic(data.df.filter(p["train"]), data.features, p["target"], p["model"].get("alpha", 1e-3))
+
+
+def classifier_perceptron(ex, p: dict, data) -> dict:
+    return models.perceptron(data.df.filter(p["train"]), data.features, p["target"], hidden=p["model"].get("hidden", 4), epochs=p["model"].get("epochs", 50))
+
+
 def svd(method: str) -> Callable:
     def run(ex, p: dict, df):
         return models.truncated_svd(df, p["column"], p["k"], method, p.get("size"))

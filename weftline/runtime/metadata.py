@@ -8,6 +8,7 @@ from pyspark.sql import SparkSession
 
 from ..plans.ir import Dag
 from ..plans.select import Meta, propagate
+from ..workloads import others
 from ..workloads.listing import COLUMNS
 
 #: Rows by path and source: counted from footers, once.
@@ -16,7 +17,7 @@ _ROWS: dict[tuple, int] = {}
 
 def source_rows(spark: SparkSession, sf_dir: str, source: str) -> int:
     """Rows of a source; a count without columns reads the files' footers alone."""
-    table = "lineitem" if source == "listing" else source
+    table = "lineitem" if source == "listing" else others.VIEWS[source][1][0] if source in others.VIEWS else source
     key = (spark.sparkContext.applicationId, sf_dir, table)
     if key not in _ROWS:
         _ROWS[key] = spark.read.parquet(f"{sf_dir}/{table}.parquet").count()
@@ -26,6 +27,8 @@ def source_rows(spark: SparkSession, sf_dir: str, source: str) -> int:
 def source_types(spark: SparkSession, sf_dir: str, source: str) -> dict[str, str]:
     if source == "listing":
         return dict.fromkeys(COLUMNS, "")
+    if source in others.VIEWS:
+        return dict(others.VIEWS[source][0](spark, sf_dir).dtypes)
     return dict(spark.read.parquet(f"{sf_dir}/{source}.parquet").dtypes)
 
 

@@ -27,15 +27,20 @@ def event_stream(spark: SparkSession, sf_dir: str, files: int = 4) -> DataFrame:
 
 
 def run_available(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Runs a stream over what is there into Parquet (append) or memory (complete, update)."""
+    """Runs a stream over what is there into Parquet: appended, or for complete the last result, for update all updates."""
     spark, name = stream.sparkSession, f"weftline_{uuid.uuid4().hex}"
     base = f"{shared_root(spark)}/{name}"
     writer = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{base}-state").trigger(availableNow=True)
     if mode == "append":
         writer.format("parquet").option("path", base).start().awaitTermination()
         return spark.read.schema(stream.schema).parquet(base)
-    writer.format("memory").queryName(name).start().awaitTermination()
-    return spark.table(name)
+
+    def each(df: DataFrame, batch: int) -> None:
+        # a batch that is run again overwrites its own folder
+        df.write.mode("overwrite").parquet(base if mode == "complete" else f"{base}/batch={batch}")
+
+    writer.foreachBatch(each).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(base)
 
 
 def windows(stream: DataFrame, size: str, slide: str | None = None, lateness: str = "1 hour") -> DataFrame:
