@@ -36,12 +36,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share, as a URI or a path.
 
-    The session's ``spark.checkpoint.dir`` names it.  Where that is unset (tests
-    on one machine) a temporary folder is made once for the session.
+    The session's ``spark.checkpoint.dir`` names it.  Where that is unset, a
+    session on one machine gets a temporary folder, another the warehouse.
     """
     told = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not told:
-        told = tempfile.mkdtemp(prefix="weftline-")
+        alone = spark.sparkContext.master == "local" or spark.sparkContext.master.startswith("local[")
+        told = tempfile.mkdtemp(prefix="weftline-") if alone else f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/weftline-shared"
         spark.sparkContext.setCheckpointDir(told)
     return told.rstrip("/")
 

@@ -230,7 +230,9 @@ def word_encoder(path: str) -> WordEncoder:
 
 
 def opened(uri: str) -> tuple[pa.fs.FileSystem, str]:
-    return pa.fs.FileSystem.from_uri(uri if "://" in uri or uri.startswith("file:") else f"file://{uri}")
+    if uri.startswith("file:/") and not uri.startswith("file://"):
+        uri = uri[len("file:") :]
+    return pa.fs.FileSystem.from_uri(uri if "://" in uri else f"file://{uri}")
 
 
 def write_whole(fs, path: str, parts: Iterator[bytes]) -> None:
