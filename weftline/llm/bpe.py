@@ -42,7 +42,9 @@ POSITION_BITS = 24
 #: Leaves from which a piece gets a tree of its own.
 LONE_LEAVES = 256
 #: Entries that a cache keeps at most, twice over, and length from which on it keeps none.
-CACHED_WORDS, LONG_WORD = 120_000, 64
+CACHED_WORDS, LONG_WORD = 200_000, 64
+#: Bytes of texts encoded at once.
+BATCH_BYTES = 1 << 23
 
 
 class Ranks:
@@ -248,7 +250,7 @@ def encode(docs: DataFrame, path: str, pattern: str, *, text: str = "text", ids:
             out.append([hashlib.sha256(bpe.decode(c)).hexdigest() for c in coded])
         return out
 
-    made = struct_of(fields, each, lambda: encoder(path, pattern).rest())
+    made = struct_of(fields, each, lambda: encoder(path, pattern).rest(), BATCH_BYTES)
     return with_results(docs, made(F.coalesce(column(text), F.lit(""))), list(fields), without=(text,))
 
 

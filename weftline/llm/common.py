@@ -113,7 +113,7 @@ def parts(values: pa.Array, most: int = PART_BYTES) -> Iterator[pa.Array]:
         yield values.slice(begin)
 
 
-def struct_of(fields: dict[str, tuple[str, pa.DataType]], each: Callable[[list], list], after: Callable[[], None] = lambda: None) -> Callable[[Column], Column]:
+def struct_of(fields: dict[str, tuple[str, pa.DataType]], each: Callable[[list], list], after: Callable[[], None] = lambda: None, most: int = PART_BYTES) -> Callable[[Column], Column]:
     """A function of a column of texts or bytes to a struct: ``each`` makes the fields' lists of a list of values.
 
     Other columns stay in the JVM, a worker holds a part of a batch at a time,
@@ -126,7 +126,7 @@ def struct_of(fields: dict[str, tuple[str, pa.DataType]], each: Callable[[list],
             for values in batches:
                 made = [
                     pa.StructArray.from_arrays([as_array(c, kind) for c, (_, kind) in zip(each(part.to_pylist()), fields.values())], list(fields))
-                    for part in parts(values)
+                    for part in parts(values, most)
                 ]
                 yield pa.concat_arrays(made) if made else pa.array([], pa.struct([(n, kind) for n, (_, kind) in fields.items()]))
         finally:
@@ -144,6 +144,18 @@ def with_results(docs: DataFrame, made: Column, names: list[str], without: tuple
     return docs.withColumn(result, made).select(*own, *[column(result)[n].alias(n) for n in names])
 
 
+def releasing(run: Callable) -> Callable:
+    """A function over batches that gives memory back when its task ends."""
+
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            released()
+
+    return wrapped
+
+
 def released() -> None:
     """Gives memory that Python and Arrow hold without need back to the system."""
     pa.default_memory_pool().release_unused()

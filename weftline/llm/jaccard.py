@@ -42,7 +42,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER, column, dropped, free_name, in_pieces, stored, text_bytes
+from .common import LOWER, column, dropped, free_name, in_pieces, releasing, stored, text_bytes
 from .components import components
 
 #: Documents that the order of shingles is taken from, and shingles it sets last at most.
@@ -111,7 +111,7 @@ def sample_frequent(docs: DataFrame, k: int) -> np.ndarray:
             flat = np.concatenate(found) if found else np.empty(0, np.uint64)
             yield pa.RecordBatch.from_arrays([pa.array(flat.view(np.int64))], ["h"])
 
-    counted = some.select("raw").mapInArrow(run, "h bigint").groupBy("h").count().filter("count > 1")
+    counted = some.select("raw").mapInArrow(releasing(run), "h bigint").groupBy("h").count().filter("count > 1")
     rows = counted.orderBy(F.desc("count"), "h").limit(SAMPLE_FREQUENT).toPandas()
     return np.sort(rows["h"].to_numpy(np.int64).view(np.uint64))
 
@@ -144,7 +144,7 @@ def sketch(docs: DataFrame, k: int, percent: int, frequent: np.ndarray) -> DataF
                 ["id", "n_shingles", "sig_a", "sig_b", "counts", "keys"],
             )
 
-    return docs.select("id", "raw").mapInArrow(run, SKETCH)
+    return docs.select("id", "raw").mapInArrow(releasing(run), SKETCH)
 
 
 def count_vector(found: np.ndarray, groups: int = GROUPS) -> np.ndarray:
@@ -377,7 +377,7 @@ def candidates(dealt: DataFrame, percent: int) -> DataFrame:
 
     names = [*Rows.NAMES, "counts"]
     sorted_rows = dealt.repartition("h", "cut").sortWithinPartitions("h", "cut", F.desc("home"), "id")
-    return sorted_rows.select(*names).mapInArrow(run, "a bigint, b bigint, h bigint")
+    return sorted_rows.select(*names).mapInArrow(releasing(run), "a bigint, b bigint, h bigint")
 
 
 def asked_again(members: DataFrame, labels: DataFrame, again: DataFrame, turn: int) -> DataFrame:
@@ -409,7 +409,7 @@ def shingle_sets(source: DataFrame, k: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([ids.slice(done, len(part)), pa.ListArray.from_arrays(pa.array(ends), flat)], ["id", "found"])
                 done += len(part)
 
-    return source.select("id", "raw").mapInArrow(run, "id bigint, found array<bigint>")
+    return source.select("id", "raw").mapInArrow(releasing(run), "id bigint, found array<bigint>")
 
 
 def verified(pairs: DataFrame, source: DataFrame, k: int, percent: int) -> DataFrame:

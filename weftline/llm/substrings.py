@@ -40,7 +40,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column, dropped, free_name, parts, stored, text_bytes
+from .common import column, dropped, free_name, parts, releasing, stored, text_bytes
 
 WINDOW, ANCHOR = 50, 16
 #: Passage words to a shard, about, and bytes of documents to one of its tasks.
@@ -118,7 +118,7 @@ def scan(source: DataFrame, size: int) -> DataFrame:
                 ["id", "n_words", "sha", "copy_a", "copy_b", "anchors"],
             )
 
-    return source.mapInArrow(run, SCAN)
+    return source.mapInArrow(releasing(run), SCAN)
 
 
 def anchored_windows(texts: DataFrame, size: int) -> DataFrame:
@@ -138,7 +138,7 @@ def anchored_windows(texts: DataFrame, size: int) -> DataFrame:
                     ["h", "h2", "id", "at"],
                 )
 
-    return texts.mapInArrow(run, "h bigint, h2 int, id bigint, at int")
+    return texts.mapInArrow(releasing(run), "h bigint, h2 int, id bigint, at int")
 
 
 def runs(places: list[int], size: int) -> list[tuple[int, int]]:
@@ -275,7 +275,7 @@ def located(rows: DataFrame, size: int) -> DataFrame:
 
     own = ["shard", "salt"]
     dealt = rows.repartition(*own).sortWithinPartitions(*own, "kind", "id")
-    return dealt.select(*own, "kind", "id", "homes", "raw").mapInArrow(run, "id bigint, begin int, end int")
+    return dealt.select(*own, "kind", "id", "homes", "raw").mapInArrow(releasing(run), "id bigint, begin int, end int")
 
 
 def passages_of(homes: DataFrame, size: int) -> DataFrame:
@@ -292,7 +292,7 @@ def passages_of(homes: DataFrame, size: int) -> DataFrame:
                 [pa.array([r[0] for r in out], pa.int64()), pa.array([r[1] for r in out], pa.binary())], ["home", "raw"]
             )
 
-    return homes.select("home", "whole", "places", "raw").mapInArrow(run, "home bigint, raw binary")
+    return homes.select("home", "whole", "places", "raw").mapInArrow(releasing(run), "home bigint, raw binary")
 
 
 def kept_texts(covered: DataFrame) -> DataFrame:
@@ -316,7 +316,7 @@ def kept_texts(covered: DataFrame) -> DataFrame:
                 ["id", "n_removed", "kept_sha256", "kept"],
             )
 
-    return covered.select("id", "spans", "raw").mapInArrow(run, "id bigint, n_removed bigint, kept_sha256 string, kept string")
+    return covered.select("id", "spans", "raw").mapInArrow(releasing(run), "id bigint, n_removed bigint, kept_sha256 string, kept string")
 
 
 def find_repeats(source: DataFrame, size: int = WINDOW) -> tuple[DataFrame, DataFrame]:
