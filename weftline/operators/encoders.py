@@ -272,7 +272,7 @@ def apply_all(df: DataFrame, encoders: list[dict], states: dict[str, dict], carr
                 df, out[f"f_{c}_mean"] = with_target(df, c, e, state[c], train)
             elif e["kind"] == "text":
                 df, vector = with_components(df, c, e, state[c])
-                out |= {f"f_{c}_{k}": F.coalesce(F.get(vector, F.lit(k)), F.lit(0.0)) for k in range(state[c]["v"].shape[1])}
+                out |= {f"f_{c}_part{k}": F.coalesce(F.get(vector, F.lit(k)), F.lit(0.0)) for k in range(state[c]["v"].shape[1])}
     return df.select(*carry, *[v.alias(k) for k, v in out.items()]), list(out)
 
 
@@ -303,9 +303,9 @@ def with_components(df: DataFrame, c: str, e: dict, state: dict) -> tuple[DataFr
     def project(texts: pd.Series) -> pd.Series:
         return pd.Series(list(tfidf(texts.tolist(), idf, e) @ v))
 
-    strings = df.select(F.col(c).alias(f"_t_{c}")).filter(F.col(f"_t_{c}").isNotNull()).distinct()
-    table = strings.withColumn(f"_x_{c}", F.pandas_udf(project, "array<double>")(f"_t_{c}"))
-    return df.join(table, df[c] == table[f"_t_{c}"], "left"), F.col(f"_x_{c}")
+    strings = df.select(F.col(c).alias(f"_text_{c}")).filter(F.col(f"_text_{c}").isNotNull()).distinct()
+    table = strings.withColumn(f"_parts_{c}", F.pandas_udf(project, "array<double>")(f"_text_{c}"))
+    return df.join(table, df[c] == table[f"_text_{c}"], "left"), F.col(f"_parts_{c}")
 
 
 def route(df: DataFrame, columns: list[str], threshold: int = 40, n_components: int = 5) -> list[dict]:
@@ -370,7 +370,7 @@ def apply_rows(df: DataFrame, encoders: list[dict], states: dict[str, dict], car
             elif e["kind"] == "text":
                 idf, v = state[c]["idf"], state[c]["v"]
                 steps.append(lambda r, at=at, idf=idf, v=v, e=e: (tfidf([r[at]], idf, e) @ v)[0].tolist())
-                names += [f"f_{c}_{k}" for k in range(v.shape[1])]
+                names += [f"f_{c}_part{k}" for k in range(v.shape[1])]
 
     def features(*row):
         out = []

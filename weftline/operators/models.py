@@ -35,14 +35,43 @@ def moments(df: DataFrame, features: list[str], target: str, by: str | None = No
     pivot = np.array(first if first is not None else [0.0] * len(columns), float)
     kernel = kernel or ("expressions" if len(columns) + 1 <= EXPRESSION_COLUMNS else "blocks")
     found = {"expressions": moments_by_expressions, "blocks": moments_by_blocks, "rows": moments_by_rows}[kernel](wide, pivot)
-    return {b: unpivoted(m, pivot) for b, m in found.items()}
+    return {b: Moments.about(m, pivot) for b, m in found.items()}
 
 
-def unpivoted(m: np.ndarray, pivot: np.ndarray) -> np.ndarray:
-    """Moments of z from those of (1, z - pivot)."""
-    shift = np.eye(len(m))
-    shift[1:, 0] = pivot
-    return shift @ m @ shift.T
+class Moments(np.ndarray):
+    """Sums of products of z, which also keep the sums about a pivot that they come from.
+
+    Sums and differences of moments about one pivot keep it, so that centring
+    never subtracts large squares.
+    """
+
+    shifted: np.ndarray | None
+    pivot: np.ndarray | None
+
+    @classmethod
+    def about(cls, shifted: np.ndarray, pivot: np.ndarray) -> "Moments":
+        shift = np.eye(len(shifted))
+        shift[1:, 0] = pivot
+        out = (shift @ shifted @ shift.T).view(cls)
+        out.shifted, out.pivot = shifted, pivot
+        return out
+
+    def __array_finalize__(self, other: object) -> None:
+        self.shifted = self.pivot = None
+
+    def _with(self, other: object, sign: int):
+        if isinstance(other, Moments) and other.pivot is not None and self.pivot is not None and np.array_equal(other.pivot, self.pivot):
+            return Moments.about(self.shifted + sign * other.shifted, self.pivot)
+        plain = np.asarray(other)
+        return self if not plain.any() else np.asarray(self) + sign * plain
+
+    def __add__(self, other: object):
+        return self._with(other, 1)
+
+    __radd__ = __add__
+
+    def __sub__(self, other: object):
+        return self._with(other, -1)
 
 
 def moments_by_expressions(wide: DataFrame, pivot: np.ndarray) -> dict:
@@ -97,10 +126,13 @@ def moments_by_rows(wide: DataFrame, pivot: np.ndarray) -> dict:
 
 def centred(m: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, float, float]:
     """Centred cross products of features, with the target, means and the number of rows."""
-    n = m[0, 0]
-    mean = m[0] / n if n else m[0]
-    s = m - n * np.outer(mean, mean)
-    return s[1:-1, 1:-1], s[1:-1, -1], mean[1:-1], mean[-1], n
+    pivot = getattr(m, "pivot", None)
+    own = np.asarray(m if pivot is None else m.shifted)
+    n = own[0, 0]
+    mean = own[0] / n if n else own[0]
+    s = own - n * np.outer(mean, mean)
+    at = mean if pivot is None else mean + np.append(0.0, pivot)
+    return s[1:-1, 1:-1], s[1:-1, -1], at[1:-1], at[-1], n
 
 
 def solve_ridge(m: np.ndarray, alpha: float) -> dict:
@@ -135,8 +167,11 @@ def solve_elastic_net(m: np.ndarray, alpha: float, rho: float, rounds: int = 100
 
 def moment_errors(m: np.ndarray, model: dict) -> tuple[float, float]:
     """Sum of squared errors and rows, from the moments of the rows to score."""
-    v = np.array([model["b"], *model["w"], -1.0])
-    return float(max(v @ m @ v, 0.0)), float(m[0, 0])
+    v, own = np.array([model["b"], *model["w"], -1.0]), np.asarray(m)
+    if getattr(m, "pivot", None) is not None:
+        own = m.shifted
+        v[0] += v[1:] @ m.pivot
+    return float(max(v @ own @ v, 0.0)), float(own[0, 0])
 
 
 def logistic(df: DataFrame, features: list[str], target: str, alpha: float = 1e-3, rounds: int = 15) -> dict:
