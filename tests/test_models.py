@@ -7,7 +7,7 @@ from weftline.operators import encoders as enc
 from weftline.operators import models, profile
 from weftline.plans.pipeline import fuse
 from weftline.runtime.cache import ReuseCache
-from weftline.runtime.executor import ABLATION, Executor, run_optimized
+from weftline.runtime.executor import ABLATION, Executor, OptFlags, run_optimized
 from weftline.workloads import listing as lst
 
 
@@ -165,3 +165,17 @@ def test_entry_and_registry(spark):
 
     assert e.entry(spark).count() == 4
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_replan_stays_with_its_operator(spark, tiny):
+    """Unshared pipelines in threads: a slow MOMENTS by rows mustn't hand its code to other operators' python_rows."""
+    ex = Executor(spark, tiny, OptFlags(False, False, True, False))
+    dag, _ = ex.plan(fuse(lst.fused_four()))
+    ex.bind(dag)
+    nodes = {n.key: n for n in dag.nodes()}
+    slow = next(n for n in nodes.values() if n.op == "MOMENTS")
+    before = {k: i.run for k, i in ex.bound.items()}
+    ex.observed[slow.key] = 1e4
+    ex._surprised(slow)
+    assert ex.replans == 1 and {ex.bound[k].name for k, n in nodes.items() if n.op in ("APPLY_PREP", "MOMENTS")} == {"python_rows"}
+    assert {k: i.run for k, i in ex.bound.items()} == before
