@@ -68,3 +68,31 @@ def test_table_report(spark):
     told = enc.table_report(df)
     assert told == {"k": "keep", "name": "drop: identifier", "number": "cast: double", "empty": "drop: empty", "same": "drop: constant", "kind": "keep"}
     assert enc.clean_table(df).dtypes == [("k", "int"), ("number", "double"), ("kind", "string")]
+
+
+def test_packed_passes_equal_brute_force(spark):
+    rng = np.random.default_rng(8)
+    rows = [(None if k % 9 == 0 else float(rng.integers(0, 30)), float(k % 2), float(rng.normal()) if k % 5 else float("nan"), float(rng.normal())) for k in range(400)]
+    df = spark.createDataFrame(rows, "a double, b double, c double, y double").repartition(3)
+    names = ["a", "b", "c"]
+    edges = [[float(e) for e in range(2, 30, 2)], [0.0], [-0.5, 0.5]]
+    table = models.binned(df, names, edges, ["y"]).toPandas()
+    bins = table[["b0", "b1", "b2"]].to_numpy()
+    packing = models.Packing([len(e) + 2 for e in edges])
+    wide = df.select("y", *[df[c].alias(f"x{i}") for i, c in enumerate(names)])
+    blocks = models.gradient_blocks(wide, packing, edges, 1.5)
+    tree = [(0, 6, 1, 2, 0.0, False), (-1, 0, 0, 0, -1.0, True), (2, 1, 3, 4, 0.0, True), (-1, 0, 0, 0, 2.0, True), (-1, 0, 0, 0, 3.0, True)]
+    low, right = (bins[:, 0] <= 6) & (bins[:, 0] > 0), bins[:, 2] <= 1
+    leaf = np.where(low, 1, np.where(right, 3, 4))
+    g = 1.5 - table["y"].to_numpy() + np.array([0, -1.0, 0, 2.0, 3.0])[leaf]
+    for moved, trees in ((blocks, [tree]), (models.moved_on(blocks, packing, [tree]), [])):
+        got = models.histograms(moved, packing, 17, trees, tree, [(1, None), (4, (1, 1, True, True))])
+        for h, mine in zip(got, (leaf == 1, (leaf == 4) & (bins[:, 1] <= 1))):
+            for f in range(3):
+                assert np.allclose(h[f, :, 0], np.bincount(bins[mine, f], g[mine], 17)) and (h[f, :, 1] == np.bincount(bins[mine, f], minlength=17)).all()
+
+
+def test_small_listing_uses_every_core(spark, tiny):
+    from weftline.workloads import listing as lst
+
+    assert lst.listing(spark, tiny, ["price"]).rdd.getNumPartitions() == spark.sparkContext.defaultParallelism
