@@ -7,7 +7,7 @@ from weftline.operators import encoders as enc
 from weftline.operators import models, profile
 from weftline.plans.pipeline import fuse
 from weftline.runtime.cache import ReuseCache
-from weftline.runtime.executor import ABLATION, Executor, OptFlags, run_optimized
+from weftline.runtime.executor import ABLATION, Executor, OptFlags, run_optimized, run_thread_parallel
 from weftline.workloads import listing as lst
 
 
@@ -179,3 +179,10 @@ def test_replan_stays_with_its_operator(spark, tiny):
     ex._surprised(slow)
     assert ex.replans == 1 and {ex.bound[k].name for k, n in nodes.items() if n.op in ("APPLY_PREP", "MOMENTS")} == {"python_rows"}
     assert {k: i.run for k, i in ex.bound.items()} == before
+
+
+def test_unshared_pipelines_fit_once_each(spark, tiny, monkeypatch):
+    fits, own = [], Executor._fit_prep
+    monkeypatch.setattr(Executor, "_fit_prep", lambda ex, p, df: fits.append(1) or own(ex, p, df))
+    run = run_thread_parallel(spark, tiny, lst.fused_four())
+    assert len(fits) == 4 and all(t["status"] == "ok" for t in run.trials)

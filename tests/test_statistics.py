@@ -96,3 +96,12 @@ def test_small_listing_uses_every_core(spark, tiny):
     from weftline.workloads import listing as lst
 
     assert lst.listing(spark, tiny, ["price"]).rdd.getNumPartitions() == spark.sparkContext.defaultParallelism
+
+
+def test_row_kernel_skips_zeros_alone(spark):
+    rows = [(float(k % 3 == 0), float(k % 5 == 0), float(k)) for k in range(60)]
+    df = spark.createDataFrame(rows, "a double, b double, y double").coalesce(1)
+    z = np.column_stack([np.ones(60), rows])
+    assert np.allclose(models.moments_by_rows(df.selectExpr("0 AS _by", "*"), np.zeros(3))[0], z.T @ z)
+    bad = spark.createDataFrame([(0.0, float("inf"), 1.0)], "a double, b double, y double").selectExpr("0 AS _by", "*")
+    assert np.isnan(models.moments_by_rows(bad, np.zeros(3))[0][1, 2])
