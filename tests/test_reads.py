@@ -14,7 +14,7 @@ def read_records(spark):
 
 
 @pytest.mark.parametrize(
-    "name, table", [("b3_cse_prep_once", "lineitem"), ("d10_map_udf_shape", "supplier"), ("d2_binding", "part"), ("d9_replan", "part"), ("f3_no_oversubscription", "lineitem"), ("g1_fingerprint", "part"), ("h3_low_fidelity", "part"), ("m6_changed_lines", "conversations")]
+    "name, table", [("b3_cse_prep_once", "lineitem"), ("d10_map_udf_shape", "supplier"), ("d2_binding", "part"), ("d9_replan", "part"), ("f3_no_oversubscription", "lineitem"), ("g1_fingerprint", "part"), ("h3_low_fidelity", "part"), ("m6_changed_lines", "conversations"), ("sql_cte", "orders")]
 )
 def test_tasks_read_the_table(spark, tiny, name, table):
     for source in ("listing", "part", "supplier"):  # counts of footers, kept from here on, read no rows
