@@ -186,3 +186,43 @@ def test_unshared_pipelines_fit_once_each(spark, tiny, monkeypatch):
     monkeypatch.setattr(Executor, "_fit_prep", lambda ex, p, df: fits.append(1) or own(ex, p, df))
     run = run_thread_parallel(spark, tiny, lst.fused_four())
     assert len(fits) == 4 and all(t["status"] == "ok" for t in run.trials)
+
+
+def test_shared_listing_is_joined_once(spark, tiny):
+    ex = Executor(spark, tiny, OptFlags(reuse=False))
+    dag, _ = ex.plan(fuse(lst.fused_four()))
+    ex.bind(dag)
+    read = next(n for n in dag.nodes() if n.op == "READ")
+    frame = ex._value(read, "read", dag.consumers())
+    try:
+        assert frame.is_cached
+    finally:
+        frame.unpersist()
+
+
+def test_few_states_are_broadcast(spark, monkeypatch):
+    rows = [(["red ring", "hot bolt", None, "blue ring"][i % 4], float(i), i % 3) for i in range(60)]
+    df = spark.createDataFrame(rows, "c string, y double, fold int").repartition(3)
+    both = [{"kind": "text", "cols": ["c"], "n_components": 2}, {"kind": "target", "cols": ["c"], "fold": "fold"}]
+
+    def applied():
+        return enc.apply_all(df, both, enc.fit_all(df, both, "y < 50", "y"), ["y"], "y < 50")[0]
+
+    few = applied()
+    assert few._jdf.queryExecution().optimizedPlan().toString().count("rightHint=(strategy=broadcast)") == 3
+    want = {r["y"]: r for r in few.collect()}
+    monkeypatch.setattr(enc, "LOCAL_ROWS", 1)
+    many = {r["y"]: r for r in applied().collect()}
+    assert set(want) == set(many) and all(np.allclose(list(want[y]), list(many[y])) for y in want)
+
+
+def test_zeros_and_ones_are_kept_as_bytes(spark):
+    df = spark.createDataFrame([("abac"[i % 4], float(i)) for i in range(40)], "c string, y double").repartition(3)
+    hot = [{"kind": "onehot", "cols": ["c"], "drop_first": False, "min_count": 1}]
+    out, names = enc.apply_all(df, hot, enc.fit_all(df, hot, "true", "y"), ["y"], "true")
+    kept, widened = enc.narrowed(out)
+    assert [t for c, t in kept.dtypes if c in names] == ["tinyint"] * 3
+    back = widened(kept)
+    assert sorted(back.collect()) == sorted(out.collect()) and back.dtypes == out.dtypes
+    plain = out.select(*[out[c].cast("string").cast("double").alias(c) for c in names])
+    assert models.bin_edges(back, names, 16) == models.bin_edges(plain, names, 16)
