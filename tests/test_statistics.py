@@ -105,3 +105,28 @@ def test_row_kernel_skips_zeros_alone(spark):
     assert np.allclose(models.moments_by_rows(df.selectExpr("0 AS _by", "*"), np.zeros(3))[0], z.T @ z)
     bad = spark.createDataFrame([(0.0, float("inf"), 1.0)], "a double, b double, y double").selectExpr("0 AS _by", "*")
     assert np.isnan(models.moments_by_rows(bad, np.zeros(3))[0][1, 2])
+
+
+def test_few_values_need_no_sketch(spark, monkeypatch):
+    df = spark.createDataFrame([(float(i % 7), float("nan") if i == 3 else float(i % 4)) for i in range(50)], "a double, b double")
+    want = order.exact_quantiles(df, ["a", "b"])
+
+    def sketch(*_):
+        raise AssertionError("a sketch of a column of few values")
+
+    monkeypatch.setattr(order.F, "percentile_approx", sketch)
+    monkeypatch.setattr(order.F, "percentile", sketch)
+    assert order.exact_quantiles(df, ["a", "b"]) == want == {"a": 3.0, "b": 1.0}
+    e = {"kind": "numeric", "cols": ["a"], "impute": "median"}
+    assert enc.fit_all(df, [e], "true", "b")[enc.key_of(e)]["a"][0] == 3.0
+
+
+def test_many_flags_are_kept_as_bits(spark):
+    df = spark.createDataFrame([(chr(97 + i % 26) + str(i % 3), float(i)) for i in range(200)], "c string, y double").repartition(3)
+    hot = [{"kind": "onehot", "cols": ["c"], "drop_first": False}]
+    out, names = enc.apply_all(df, hot, enc.fit_all(df, hot, "true", "y"), ["y"], "true")
+    kept, widened = enc.narrowed(out)
+    assert len(names) == 78 and len(kept.columns) == 3
+    back = widened(kept)
+    assert back.dtypes == out.dtypes and sorted(back.collect()) == sorted(out.collect())
+    assert all(f.metadata == {enc.FLAG: True} for f in back.schema if f.name in names)
