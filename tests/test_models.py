@@ -226,3 +226,10 @@ def test_zeros_and_ones_are_kept_as_bytes(spark):
     assert sorted(back.collect()) == sorted(out.collect()) and back.dtypes == out.dtypes
     plain = out.select(*[out[c].cast("string").cast("double").alias(c) for c in names])
     assert models.bin_edges(back, names, 16) == models.bin_edges(plain, names, 16)
+
+
+def test_unshared_pipelines_keep_their_own_frames(spark, tiny, monkeypatch):
+    kept, own = [], enc.narrowed
+    monkeypatch.setattr(enc, "narrowed", lambda df: kept.append(df) or own(df))
+    run = run_thread_parallel(spark, tiny, lst.fused_four())
+    assert len(kept) == 4 and all(t["status"] == "ok" for t in run.trials)

@@ -130,3 +130,20 @@ def test_many_flags_are_kept_as_bits(spark):
     back = widened(kept)
     assert back.dtypes == out.dtypes and sorted(back.collect()) == sorted(out.collect())
     assert all(f.metadata == {enc.FLAG: True} for f in back.schema if f.name in names)
+
+
+def test_interpreted_steps_take_distinct_values(spark, monkeypatch):
+    calls = spark.sparkContext.accumulator(0)
+    own = enc.row_onehot
+
+    def counted(*a):
+        calls.add(1)
+        return own(*a)
+
+    monkeypatch.setattr(enc, "row_onehot", counted)
+    df = spark.createDataFrame([([" x ", "y", None, "N/A"][i % 4], float(i)) for i in range(4000)], "c string, y double").coalesce(1)
+    hot = [{"kind": "onehot", "cols": ["c"], "drop_first": False}]
+    states = enc.fit_all(df, hot, "true", "y")
+    (rows, names), (want, _) = (f(df, hot, states, ["y"], "true") for f in (enc.apply_rows, enc.apply_all))
+    assert sorted(rows.select("y", *names).collect()) == sorted(want.select("y", *names).collect())
+    assert calls.value <= 4
