@@ -1,5 +1,8 @@
 """Estimators against NumPy, and the runners' agreement."""
 
+import threading
+from concurrent.futures import ThreadPoolExecutor
+
 import numpy as np
 import pytest
 
@@ -233,3 +236,49 @@ def test_unshared_pipelines_keep_their_own_frames(spark, tiny, monkeypatch):
     monkeypatch.setattr(enc, "narrowed", lambda df: kept.append(df) or own(df))
     run = run_thread_parallel(spark, tiny, lst.fused_four())
     assert len(kept) == 4 and all(t["status"] == "ok" for t in run.trials)
+
+
+def test_fits_together_share_bins_and_passes(spark, monkeypatch):
+    rng = np.random.default_rng(3)
+    rows = [(float(rng.integers(0, 40)), None if k % 7 == 0 else float(rng.normal()), float(rng.normal() + (k % 5))) for k in range(600)]
+    df = spark.createDataFrame(rows, "a double, b double, y double").repartition(3)
+    settings = [{"growth": "level", "trees": 5, "depth": d} for d in (2, 3)] + [{"growth": "leaf", "trees": 10, "leaves": n} for n in (4, 20)]
+    passes, own = [], models.histograms_of_fits
+    monkeypatch.setattr(models, "histograms_of_fits", lambda *a: passes.append(len(a[3])) or own(*a))
+    alone = [models.boost(df, ["a", "b"], "y", **s) for s in settings]
+    before, asked = len(passes), sum(passes)
+    passes.clear()
+    binned = models.Binned(df, ["a", "b"], "y", 16)
+    entered = threading.Barrier(len(settings))
+    enter = models.Binned.__enter__
+    monkeypatch.setattr(models.Binned, "__enter__", lambda self: enter(self) and (entered.wait(60), self)[1])
+    with ThreadPoolExecutor(len(settings)) as pool:
+        together = list(pool.map(lambda s: models.boost(df, ["a", "b"], "y", **s, shared=binned), settings))
+    binned.unpersist()
+    assert sum(passes) == asked == before and len(passes) < 0.75 * before
+    for one, same in zip(alone, together):
+        assert one["edges"] == same["edges"]
+        a, b = (df.select(models.prediction(m, ["a", "b"])).toPandas().to_numpy() for m in (one, same))
+        assert np.allclose(a, b)
+
+
+def test_a_failed_pass_reaches_every_fit(spark, monkeypatch):
+    df = spark.createDataFrame([(float(i), float(i % 3)) for i in range(30)], "a double, y double")
+    binned = models.Binned(df, ["a"], "y", 4)
+
+    def failing(*_):
+        raise ValueError("a pass that fails")
+
+    monkeypatch.setattr(models, "histograms_of_fits", failing)
+    with ThreadPoolExecutor(2) as pool:
+        fits = [pool.submit(models.boost, df, ["a"], "y", shared=binned) for _ in range(2)]
+        assert all(isinstance(f.exception(60), ValueError) for f in fits)
+    binned.unpersist()
+
+
+def test_trees_of_one_preparation_share_their_bins(spark, tiny, monkeypatch):
+    made, own = [], models.Binned
+    monkeypatch.setattr(models, "Binned", lambda *a: made.append(a) or own(*a))
+    trees = {k: lst.MODELS[k] | {"trees": 2} for k in ("trees_level", "trees_leaf")}
+    run = run_optimized(spark, tiny, lst.batch({"scaled": lst.SCALED}, trees), flags=OptFlags(reuse=False))
+    assert [t["status"] for t in run.trials] == ["ok", "ok"] and len(made) == 1

@@ -147,3 +147,40 @@ def test_interpreted_steps_take_distinct_values(spark, monkeypatch):
     (rows, names), (want, _) = (f(df, hot, states, ["y"], "true") for f in (enc.apply_rows, enc.apply_all))
     assert sorted(rows.select("y", *names).collect()) == sorted(want.select("y", *names).collect())
     assert calls.value <= 4
+
+
+def test_edges_are_quantiles_of_counted_values(spark, monkeypatch):
+    rng = np.random.default_rng(5)
+    rows = [(float(rng.integers(0, 9)), None if k % 3 else float(rng.normal()), None) for k in range(500)]
+    df = spark.createDataFrame(rows, "a double, b double, empty double").repartition(4)
+    shares = [k / 8 for k in range(1, 8)]
+    sorted_ = [np.sort([r[k] for r in rows if r[k] is not None]) for k in (0, 1)]
+    want = [sorted({float(x[int(np.ceil(s * len(x))) - 1]) for s in shares}) for x in sorted_] + [[]]
+    sketch = models.F.percentile_approx
+    monkeypatch.setattr(models.F, "percentile_approx", None)
+    assert models.bin_edges(df, ["a", "b", "empty"], 8) == want
+    monkeypatch.setattr(models.F, "percentile_approx", sketch)
+    monkeypatch.setattr(models, "COUNTED_VALUES", 20)  # b takes a sketch now, which is exact for so few rows
+    assert models.bin_edges(df, ["a", "b", "empty"], 8) == want
+
+
+def test_small_parts_need_no_round(spark, monkeypatch):
+    df = spark.createDataFrame([(0, np.array([float(k)]).tobytes()) for k in range(20)], "b int, m binary").repartition(20)
+    rounds, own = [], type(df).repartition
+    monkeypatch.setattr(type(df), "repartition", lambda self, *a: rounds.append(a) or own(self, *a))
+    assert merge.summed(df, 20, 8.0)[0] == [190.0] and not rounds
+    assert merge.summed(df, 1000)[0] == [190.0] and rounds == [(31,), (5,)]
+
+
+def test_gram_of_few_strings_is_one_part(spark, monkeypatch):
+    parts, own = [], enc.summed
+    monkeypatch.setattr(enc, "summed", lambda df, *a: parts.append(df.count()) or own(df, *a))
+    rows = [(["red ring", "hot bolt", None, "blue ring"][i % 4], float(i)) for i in range(60)]
+    df = spark.createDataFrame(rows, "c string, y double").repartition(4)
+    both = [{"kind": "text", "cols": ["c"], "n_components": n} for n in (1, 2)]
+    states = enc.fit_all(df, both, "true", "y")
+    assert parts == [1]  # for both encoders together
+    one, two = (states[enc.key_of(e)]["c"] for e in both)
+    x = enc.tfidf([r[0] for r in rows if r[0]], two["idf"], both[0])
+    values = np.linalg.eigvalsh(x.T @ x)[::-1][:2]
+    assert one["idf"] == two["idf"] and np.allclose(two["v"].T @ x.T @ x @ two["v"], np.diag(values)) and np.allclose(one["v"], two["v"][:, :1])
