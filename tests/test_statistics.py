@@ -184,3 +184,21 @@ def test_gram_of_few_strings_is_one_part(spark, monkeypatch):
     x = enc.tfidf([r[0] for r in rows if r[0]], two["idf"], both[0])
     values = np.linalg.eigvalsh(x.T @ x)[::-1][:2]
     assert one["idf"] == two["idf"] and np.allclose(two["v"].T @ x.T @ x @ two["v"], np.diag(values)) and np.allclose(one["v"], two["v"][:, :1])
+
+
+def test_flags_kept_as_bits_stay_so(spark, monkeypatch):
+    df = spark.createDataFrame([(chr(97 + i * i % 26) + str(i % 3), float(i % 17), float(i % 5), i % 4) for i in range(400)], "c string, a double, y double, fold int").repartition(3)
+    encoders = [{"kind": "numeric", "cols": ["a"]}, {"kind": "onehot", "cols": ["c"]}]
+    plain, names = enc.apply_all(df, encoders, enc.fit_all(df, encoders, "true", "y"), ["y", "fold"], "true")
+    kept, widened = enc.narrowed(plain)
+    back, wanted = enc.filtered(widened(kept), "fold < 3"), plain.filter("fold < 3")
+    sent, own = [], type(df).mapInArrow
+    monkeypatch.setattr(type(df), "mapInArrow", lambda self, *a: sent.append(len(self.columns)) or own(self, *a))
+    got = [models.moments(back, names, "y", "fold"), models.bin_edges(back, names, 8), models.boost(back, names, "y", trees=2)]
+    assert len(names) > 30 and max(sent) <= 4
+    want = [models.moments(wanted, names, "y", "fold"), models.bin_edges(wanted, names, 8), models.boost(wanted, names, "y", trees=2)]
+    assert set(got[0]) == set(want[0]) == {0, 1, 2} and all(np.allclose(got[0][k], want[0][k]) for k in want[0])
+    assert got[1] == want[1] and got[2]["edges"] == want[2]["edges"]
+    a, b = (d.select(models.prediction(m, names).alias("p")).orderBy("p").toPandas()["p"] for d, m in ((back, got[2]), (wanted, want[2])))
+    assert np.allclose(a, b)
+    assert enc.packed_form(enc.filtered(widened(kept), f"{names[-1]} = 1")) is None
